@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, html, pieces, sharding, tokenfile
+from . import chat, decontaminate, html, langid, pieces, sharding, tokenfile
 from .storage import table
 
 SHARDS = 40
@@ -23,6 +23,15 @@ def op1_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html.extract_pages(pages, html.weights_from(pages))
 
 
+def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return langid.predict(docs, langid.learn(docs.where(~langid.held_out())))
+
+
+def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.find_items(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op5_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokenfile.read_segments(tokenfile.write_segments(table(spark, sf_dir, "documents"), vocabulary("word_bpe_49k.json"), end_id=1))
 
@@ -40,9 +49,10 @@ def op9_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pieces.encode_documents(table(spark, sf_dir, "documents"), vocabulary("piece_bpe_32k.model"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_html_extraction, op5_token_output, op6_jump_sharding, op7_chat_formatting, op9_sentencepiece)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_html_extraction, op2_language_id, op4_decontamination, op5_token_output, op6_jump_sharding, op7_chat_formatting, op9_sentencepiece)}
 
 ORACLES: dict[str, str] = {
+    "op4_decontamination": decontaminate.ORACLE,
     "op7_chat_formatting": r"""
         WITH rows AS (
             SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
