@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, decontaminate, html, jaccard, langid, pieces, sharding, tokenfile
+from . import brown, chat, decontaminate, html, jaccard, langid, pieces, sharding, tokenfile
 from .storage import table
 
 SHARDS = 40
@@ -45,6 +45,10 @@ def op7_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.digest(chat.parse(chat.render(chat.fold_events(events))))
 
 
+def op8_class_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return brown.score(table(spark, sf_dir, "documents"))
+
+
 def op9_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pieces.encode_documents(table(spark, sf_dir, "documents"), vocabulary("piece_bpe_32k.model"))
 
@@ -53,7 +57,7 @@ def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard.link(table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_html_extraction, op2_language_id, op4_decontamination, op5_token_output, op6_jump_sharding, op7_chat_formatting, op9_sentencepiece, op10_jaccard_join)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_html_extraction, op2_language_id, op4_decontamination, op5_token_output, op6_jump_sharding, op7_chat_formatting, op8_class_lm, op9_sentencepiece, op10_jaccard_join)}
 
 ORACLES: dict[str, str] = {
     "op10_jaccard_join": jaccard.ORACLE,
