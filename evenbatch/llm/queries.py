@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import brown, chat, decontaminate, html, jaccard, langid, pieces, sharding, tokenfile
+from . import brown, chat, decontaminate, html, jaccard, langid, media, pieces, sharding, tokenfile
 from .storage import table
 
 SHARDS = 40
@@ -28,6 +28,11 @@ def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.predict(docs, langid.learn(docs.where(~langid.held_out())))
 
 
+def op3_media_chunks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return media.fetch(docs, media.store(docs))
+
+
 def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.find_items(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
@@ -57,7 +62,7 @@ def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard.link(table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_html_extraction, op2_language_id, op4_decontamination, op5_token_output, op6_jump_sharding, op7_chat_formatting, op8_class_lm, op9_sentencepiece, op10_jaccard_join)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_html_extraction, op2_language_id, op3_media_chunks, op4_decontamination, op5_token_output, op6_jump_sharding, op7_chat_formatting, op8_class_lm, op9_sentencepiece, op10_jaccard_join)}
 
 ORACLES: dict[str, str] = {
     "op10_jaccard_join": jaccard.ORACLE,
