@@ -27,7 +27,7 @@ MAGIC = b"EBTOK1\0\0"
 SEGMENT_IDS = 2_000_000
 SELECT_EVERY = 64
 #: Remembered words of a Python worker at most.
-MEMORY_WORDS = 700_000
+MEMORY_WORDS = 800_000
 
 
 class EliasFano:
@@ -123,16 +123,42 @@ class WordTokenizer:
         self.width = 2 if self.library.get_vocab_size() <= 1 << 16 else 4
         self.kind = f"<u{self.width}"
         self.words = _Memory(self)
+        last = [False] * (max(self.library.get_vocab().values()) + 1)
+        for token, i in self.library.get_vocab().items():
+            last[i] = token.endswith("</w>")
+        self.last = np.array(last)
 
     def plain(self, text: str) -> bytes:
+        """What the library says of a whole text."""
         return np.array(self.library.encode(text, add_special_tokens=False).ids, dtype=self.kind).tobytes()
 
     def encode(self, text: str) -> bytes:
-        return b"".join(map(self.words.__getitem__, text.split(" ")))
+        return self.encode_many([text])[0]
+
+    def encode_many(self, texts: list[str]) -> list[bytes]:
+        """Ids of whole texts. Plain words not yet known go to the library many at a time, and their ids are told apart
+        by the tokens that end a word."""
+        known = self.words
+        if len(known) > MEMORY_WORDS:
+            known.clear()
+        parts = [t.split(" ") for t in texts]
+        fresh: set[str] = set()
+        for word in set().union(*parts).difference(known.keys()):
+            for piece in word.split("\n"):
+                if m := known.tail.match(piece):
+                    fresh.add(m[1].lower() if m[1].isascii() else m[1])
+        words = [w for w in fresh if w not in known]
+        lines = [words[i : i + 64] for i in range(0, len(words), 64)]
+        for line, got in zip(lines, self.library.encode_batch_fast([" ".join(x) for x in lines], add_special_tokens=False)):
+            ids = np.array(got.ids)
+            ends = np.flatnonzero(self.last[ids]) + 1
+            if len(ends) == len(line):
+                known.update(zip(line, (x.tobytes() for x in np.split(ids.astype(self.kind), ends[:-1]))))
+        return [b"".join(map(known.__getitem__, p)) for p in parts]
 
 
 class _Memory(dict):
-    tail = re.compile(r"([A-Za-z]+)([.,!?:;]*)\Z")
+    tail = re.compile(r"([^\W\d_]+)([.,!?:;]*)\Z")
 
     def __init__(self, owner: WordTokenizer):
         self.owner = owner
@@ -142,12 +168,11 @@ class _Memory(dict):
             found = b"".join(map(self.__getitem__, word.split("\n")))
             return found
         m = self.tail.match(word)
-        if m and (m[2] or not m[1].islower()):
-            found = self[m[1].lower()] + (self[m[2]] if m[2] else b"")
+        core = m and (m[1].lower() if m[1].isascii() else m[1])
+        if m and (m[2] or core != m[1]):
+            found = self[core] + (self[m[2]] if m[2] else b"")
         else:
             found = self.owner.plain(word)
-        if len(self) > MEMORY_WORDS:
-            self.clear()
         if len(word) <= 64:
             self[word] = found
         return found
@@ -182,8 +207,8 @@ def write_segments(df: DataFrame, path: str, end_id: int, key: str = "doc_id", t
             return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([seq], pa.int64()), pa.array([len(keys)], pa.int64()), pa.array([int(ends[-1])], pa.int64()), pa.array([blob], pa.binary())], ["part", "seq", "n_docs", "n_ids", "segment"])
 
         for batch, texts in text_batches(batches):
-            for k, raw in zip(batch.column(0).to_pylist(), texts):
-                body = (words.encode(raw.decode()) if raw else b"") + last
+            for k, body in zip(batch.column(0).to_pylist(), words.encode_many([raw.decode() if raw else "" for raw in texts])):
+                body += last
                 keys.append(k)
                 bodies.append(body)
                 size += len(body) // words.width
