@@ -145,8 +145,8 @@ class WordTokenizer:
         fresh: set[str] = set()
         for word in set().union(*parts).difference(known.keys()):
             for piece in word.split("\n"):
-                if m := known.tail.match(piece):
-                    fresh.add(m[1].lower() if m[1].isascii() else m[1])
+                if (m := known.tail.match(piece)) and (core := known.core(m[1])):
+                    fresh.add(core)
         words = [w for w in fresh if w not in known]
         lines = [words[i : i + 64] for i in range(0, len(words), 64)]
         for line, got in zip(lines, self.library.encode_batch_fast([" ".join(x) for x in lines], add_special_tokens=False)):
@@ -163,13 +163,19 @@ class _Memory(dict):
     def __init__(self, owner: WordTokenizer):
         self.owner = owner
 
+    @staticmethod
+    def core(letters: str) -> str | None:
+        """The letters as they are remembered; none if in lower case they are not all letters, as signs after them would
+        then belong to the last one."""
+        return letters.lower() if letters.isascii() else letters if letters.lower().isalpha() else None
+
     def __missing__(self, word: str) -> bytes:
         if "\n" in word:
             found = b"".join(map(self.__getitem__, word.split("\n")))
             return found
         m = self.tail.match(word)
-        core = m and (m[1].lower() if m[1].isascii() else m[1])
-        if m and (m[2] or core != m[1]):
+        core = m and self.core(m[1])
+        if core and (m[2] or core != m[1]):
             found = self[core] + (self[m[2]] if m[2] else b"")
         else:
             found = self.owner.plain(word)
