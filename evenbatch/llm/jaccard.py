@@ -2,7 +2,8 @@
 
 Sets are the distinct five-word shingles of whole texts, as 64-bit fingerprints, in one global order: shingles of
 seldom hit cells of a fixed count table over the whole corpus first, then by fingerprint. Sets that reach the
-threshold share a shingle among the first n - ceil(3n/4) + 1 of each. An index of these prefixes gives candidates:
+threshold share a shingle among the first n - ceil(3n/4) + 1 of each, and among the first n - ceil(6n/7) + 1 (the short
+prefix) of the smaller one. An index of these prefixes gives candidates:
 
 * a shingle that few sets have in their prefix gives its pairs, and as the number of shared prefix shingles bounds the
   overlap, pairs that share too few are dropped unseen;
@@ -56,6 +57,11 @@ def prefix_size(n):
     return n - -(-3 * n // 4) + 1
 
 
+def short_size(n):
+    """The prefix of a set that no larger or equal partner can miss, as the overlap is 6n/7 at least."""
+    return n - -(-6 * n // 7) + 1
+
+
 def order(grams: np.ndarray, cells: np.ndarray) -> np.ndarray:
     """A sorted set in the global order."""
     key = (np.minimum(cells[grams >> np.uint64(64 - CELL_BITS)], (1 << 24) - 1).astype(np.uint64) << np.uint64(40)) | (grams >> np.uint64(24))
@@ -146,8 +152,8 @@ def count_table(parts: DataFrame) -> np.ndarray:
 
 
 def prefix_index(docs: DataFrame, shared, parts: int) -> DataFrame:
-    """(part, grams, rows, ids, sizes): prefix shingles by part, each with its row in the lists of ids and set sizes.
-    A set that a task has had already is left out."""
+    """(part, grams, rows, ids, sizes): prefix shingles by part, each with its row in the lists of ids and set sizes and
+    whether it is of the short prefix, as row * 2 + flag. A set that a task has had already is left out."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -158,7 +164,10 @@ def prefix_index(docs: DataFrame, shared, parts: int) -> DataFrame:
 
         def flush() -> pa.RecordBatch:
             flat = np.concatenate(grams)
-            rows = np.repeat(np.arange(len(ids)), [len(g) for g in grams])
+            held_by = np.array([len(g) for g in grams])
+            rows = np.repeat(np.arange(len(ids)), held_by)
+            place = np.arange(len(flat)) - np.repeat(np.cumsum(held_by) - held_by, held_by)
+            short = place < np.repeat(short_size(np.array(sizes)), held_by)
             count = cells[(flat >> np.uint64(64 - CELL_BITS)).astype(np.int64)].astype(np.int64)
             part = (flat % np.uint64(parts)).astype(np.int64) + parts * (salt % (count // HOT + 1))
             by = np.argsort(part, kind="stable")
@@ -166,7 +175,7 @@ def prefix_index(docs: DataFrame, shared, parts: int) -> DataFrame:
             out = []
             for p, at in zip(names.tolist(), np.split(by, begin[1:])):
                 used, row = np.unique(rows[at], return_inverse=True)
-                out.append((p, flat[at].tobytes(), row.astype(np.uint32).tobytes(), np.array(ids, dtype=np.int64)[used].tobytes(), np.array(sizes, dtype=np.uint32)[used].tobytes()))
+                out.append((p, flat[at].tobytes(), (row * 2 + short[at]).astype(np.uint32).tobytes(), np.array(ids, dtype=np.int64)[used].tobytes(), np.array(sizes, dtype=np.uint32)[used].tobytes()))
             return pa.RecordBatch.from_arrays([pa.array([x[0] for x in out], pa.int64()), *(pa.array([x[i] for x in out], pa.binary()) for i in range(1, 5))], ["part", "grams", "rows", "ids", "sizes"])
 
         for batch, texts in text_batches(batches):
@@ -187,11 +196,11 @@ def prefix_index(docs: DataFrame, shared, parts: int) -> DataFrame:
     return docs.mapInArrow(run, "part long, grams binary, rows binary, ids binary, sizes binary")
 
 
-HITS = "gram long, a long, b long, na long, nb long, shared long"
+HITS = "gram long, a long, b long, na long, nb long, shared long, short boolean"
 
 
 def meet(index: DataFrame, shared) -> DataFrame:
-    """From each part: pairs (gram null) with the number of shared prefix shingles, and members (gram, a) of stars."""
+    """From each part: pairs (gram null) with the number of shared prefix shingles, and members (gram, a, short) of stars."""
 
     def run(frame: pd.DataFrame) -> pd.DataFrame:
         cells = shared.value
@@ -200,11 +209,11 @@ def meet(index: DataFrame, shared) -> DataFrame:
             ids.append(np.frombuffer(r.ids, dtype=np.int64))
             sizes.append(np.frombuffer(r.sizes, dtype=np.uint32))
             grams.append(np.frombuffer(r.grams, dtype=np.uint64))
-            rows.append(np.frombuffer(r.rows, dtype=np.uint32).astype(np.int64) + base)
+            rows.append(np.frombuffer(r.rows, dtype=np.uint32).astype(np.int64) + 2 * base)
             base += len(ids[-1])
         key, size, gram, row = np.concatenate(ids), np.concatenate(sizes).astype(np.int64), np.concatenate(grams), np.concatenate(rows)
         by = np.argsort(gram, kind="stable")
-        gram, row = gram[by], row[by]
+        gram, row, short = gram[by], row[by] >> 1, (row[by] & 1).astype(bool)
         begin = np.flatnonzero(np.concatenate(([True], gram[1:] != gram[:-1])))
         length = np.diff(np.append(begin, len(gram)))
         hot = cells[(gram[begin] >> np.uint64(64 - CELL_BITS)).astype(np.int64)] >= HOT
@@ -225,13 +234,13 @@ def meet(index: DataFrame, shared) -> DataFrame:
             times = np.bincount(back, weights=np.concatenate(found["times"])).astype(np.int64)
             a, b = pair // len(key), pair % len(key)
             a, b = np.where(key[a] <= key[b], a, b), np.where(key[a] <= key[b], b, a)
-            out.append(pd.DataFrame({"gram": pd.array([pd.NA] * len(a), dtype="Int64"), "a": key[a], "b": key[b], "na": size[a], "nb": size[b], "shared": times}))
+            out.append(pd.DataFrame({"gram": pd.array([pd.NA] * len(a), dtype="Int64"), "a": key[a], "b": key[b], "na": size[a], "nb": size[b], "shared": times, "short": True}))
         many = np.flatnonzero((length > FEW) | hot)
         if len(many):
             at = np.repeat(begin[many] - np.concatenate(([0], np.cumsum(length[many])[:-1])), length[many]) + np.arange(length[many].sum())
             g, r = gram[at], row[at]
-            out.append(pd.DataFrame({"gram": pd.array(g.view(np.int64), dtype="Int64"), "a": key[r], "b": key[r], "na": size[r], "nb": size[r], "shared": 1}))
-        return pd.concat(out) if out else pd.DataFrame({c.split()[0]: pd.array([], dtype="Int64") for c in HITS.split(", ")})
+            out.append(pd.DataFrame({"gram": pd.array(g.view(np.int64), dtype="Int64"), "a": key[r], "b": key[r], "na": size[r], "nb": size[r], "shared": 1, "short": short[at]}))
+        return pd.concat(out) if out else pd.DataFrame({c.split()[0]: pd.array([], dtype="boolean" if "bool" in c else "Int64") for c in HITS.split(", ")})
 
     return materialise(index.groupBy("part").applyInPandas(run, HITS), "hits")
 
@@ -250,6 +259,19 @@ def shared_needed(na: Column, nb: Column) -> Column:
     return F.greatest(F.lit(1), overlap_needed(na, nb) - F.greatest(rest(na), rest(nb)))
 
 
+def enough(pairs: DataFrame, sieve: np.ndarray) -> DataFrame:
+    """Pairs that may share enough: by their count alone, unless both are in the sieve of sets with star shingles."""
+    shared = pairs.sparkSession.sparkContext.broadcast(sieve)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            a, b, na, nb, c = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(5))
+            need = needed(na, nb) - np.maximum(-(-3 * na // 4), -(-3 * nb // 4)) + 1
+            yield batch.filter(pa.array((c >= need) | (passes(shared.value, a) & passes(shared.value, b))))
+
+    return pairs.mapInArrow(run, "a long, b long, na long, nb long, shared long")
+
+
 def verify(docs: DataFrame, pairs: DataFrame, shared) -> DataFrame:
     """The (a, b) of pairs whose sets reach the threshold."""
     pairs = materialise(pairs.select("a", "b"), "pairs")
@@ -295,12 +317,17 @@ def link(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
         there = pairs.join(reps.select(F.col("doc_id").alias("a"), F.col("rep").alias("ra")), "a").join(reps.select(F.col("doc_id").alias("b"), F.col("rep").alias("rb")), "b")
         return there.drop("a", "b").withColumnsRenamed({"ra": "a", "rb": "b"}).where("a <> b")
 
-    stars = materialise(hits.where("gram IS NOT NULL").select("gram", F.col("a").alias("doc_id"), F.col("na").alias("n")).join(reps, "doc_id").select("gram", F.col("rep").alias("doc_id"), "n").distinct(), "stars")
-    held = stars.groupBy("doc_id").agg(F.count("*").alias("held"))
-    few = of_reps(hits.where("gram IS NULL AND a <> b")).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), F.when(F.col("a") < F.col("b"), F.col("na")).otherwise(F.col("nb")).alias("na"), F.when(F.col("a") < F.col("b"), F.col("nb")).otherwise(F.col("na")).alias("nb"), "shared")
-    few = few.groupBy("a", "b", "na", "nb").agg(F.sum("shared").alias("shared"))
+    # how many star shingles a set has in its prefix, which its pairs may share besides those counted
+    held = materialise(hits.where("gram IS NOT NULL").groupBy(F.col("a").alias("doc_id")).agg(F.count("*").alias("held")), "held")
+    paired = hits.where("gram IS NULL AND a <> b").groupBy("a", "b", "na", "nb").agg(F.sum("shared").alias("shared"))
+    few = enough(paired, sieve_of(held.select("doc_id")))
     few = few.join(held.withColumnsRenamed({"doc_id": "a", "held": "ha"}), "a", "left").join(held.withColumnsRenamed({"doc_id": "b", "held": "hb"}), "b", "left")
     few = few.where(F.col("shared") + F.least(F.coalesce("ha", F.lit(0)), F.coalesce("hb", F.lit(0))) >= shared_needed(F.col("na"), F.col("nb")))
+    few = of_reps(few).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), "shared").groupBy("a", "b").agg(F.max("shared").alias("shared"))
+    # a star needs a member that has the shingle in its short prefix
+    stars = hits.where("gram IS NOT NULL").select("gram", F.col("a").alias("doc_id"), F.col("na").alias("n"), "short").join(reps, "doc_id").groupBy("gram", F.col("rep").alias("doc_id"), "n").agg(F.max("short").alias("short"))
+    live = hits.where("gram IS NOT NULL AND short").select("gram").distinct()
+    stars = materialise(stars.join(live, "gram", "left_semi"), "stars")
     centres = stars.groupBy("gram").agg(F.min(F.struct("doc_id", "n")).alias("c")).select("gram", F.col("c.doc_id").alias("centre"), F.col("c.n").alias("nc"))
     rays = stars.join(centres, "gram").where((F.col("doc_id") != F.col("centre")) & long_enough(F.col("n"), F.col("nc"))).select(F.col("centre").alias("a"), F.col("doc_id").alias("b"))
     links = verify(docs, few.select("a", "b").unionByName(rays).distinct(), shared)
@@ -308,13 +335,11 @@ def link(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     # members of a star outside its centre's component meet the others there
     placed = stars.join(found.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
     middle = placed.join(centres.select("gram", F.col("centre").alias("doc_id")), ["gram", "doc_id"]).select("gram", F.col("component").alias("main"))
-    away = placed.join(middle, "gram").where("component <> main").select("gram", F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("component").alias("ca"))
-    rest = placed.select("gram", F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("component").alias("cb"))
-    again = away.join(rest, "gram").where((F.col("ca") != F.col("cb")) & long_enough(F.col("na"), F.col("nb")))
-    again = again.groupBy(F.least("a", "b").alias("x"), F.greatest("a", "b").alias("y"), (F.col("na") + F.col("nb")).alias("sum"), F.greatest("na", "nb").alias("longer")).agg(F.countDistinct("gram").alias("held"))
-    shared_rest = F.ceil(F.col("longer") * 3 / F.lit(4.0)) - 1
-    kept = few.select(F.col("a").alias("x"), F.col("b").alias("y"), "shared")
-    again = again.join(kept, ["x", "y"], "left").where(F.col("held") + F.coalesce("shared", F.lit(0)) >= F.greatest(F.lit(1), F.ceil(F.col("sum") * 3 / F.lit(7.0) - F.lit(1e-9)) - shared_rest))
+    away = placed.join(middle, "gram").where("component <> main").select("gram", F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("short").alias("sa"), F.col("component").alias("ca"))
+    rest = placed.select("gram", F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("short").alias("sb"), F.col("component").alias("cb"))
+    smaller_short = (F.col("sa") | (F.col("na") > F.col("nb"))) & (F.col("sb") | (F.col("nb") > F.col("na")))
+    again = away.join(rest, "gram").where((F.col("ca") != F.col("cb")) & smaller_short & long_enough(F.col("na"), F.col("nb")))
+    again = again.select(F.least("a", "b").alias("x"), F.greatest("a", "b").alias("y")).distinct()
     more = materialise(again.select(F.col("x").alias("a"), F.col("y").alias("b")), "again")
     if not more.isEmpty():
         found = components(links.unionByName(verify(docs, more, shared)))
