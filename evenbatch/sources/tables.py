@@ -49,7 +49,7 @@ def read_any(spark: SparkSession, path: str, fmt: str, schema: str | None = None
 
 
 def literal_table(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
-    return spark.createDataFrame(rows, schema)
+    return spark.createDataFrame(rows, schema).coalesce(1)
 
 
 def words(text: str = "text") -> Column:
