@@ -92,7 +92,7 @@ class Network:
         u = h[-1][:, :, 0] @ self.hidden
         return total + (u / (1 + np.exp(-u))) @ self.last
 
-    def forces(self, x: np.ndarray, z: np.ndarray, eps: float = 1e-4) -> np.ndarray:
+    def forces(self, x: np.ndarray, z: np.ndarray, eps: float = 1e-6) -> np.ndarray:
         """Minus the gradient of the energy, by central differences."""
         out = np.zeros_like(x)
         for v in range(len(x)):
