@@ -202,7 +202,7 @@ class ContractTables:
         for nu in range(1, nu_max + 1):
             terms = coupling.chain_terms(lmax, nu, l_out, basis, canonical and not dense)
             weight = np.array([[[c * small_weight(z, k, nu, p) for p, _, _, c in terms] for k in range(channels)] for z in range(species)])
-            self.by_nu.append((np.array([t[2] for t in terms]).reshape(-1, nu), np.array([t[1] for t in terms]) + l_out, weight))
+            self.by_nu.append((np.array([t[2] for t in terms], dtype=int).reshape(-1, nu), np.array([t[1] for t in terms], dtype=int) + l_out, weight))
         self.dense = None
         if dense:
             self.dense = []
