@@ -279,3 +279,32 @@ def loss_parity(spark, d):
     a, b = (_loss(spark, d, m).where("epoch = 15").select(F.col("loss").alias(m)) for m in ("fixed", "balanced"))
     return a.crossJoin(b).select((F.abs(F.col("fixed") - F.col("balanced")) < 0.05).alias("near"))
 
+
+
+@query("SELECT vec_id AS v, [(((label + 1) * 31 + 1) % 7 - 3) / 8.0, (((label + 1) * 31 + 2) % 7 - 3) / 8.0] AS h0 FROM embeddings")
+def embed_vertices(spark, d):
+    return kernels.embed(graphs.vertices(spark, d), K).select("v", "h0")
+
+
+@query(f"WITH {_edges_sql(None)} SELECT dst, src, true AS complete FROM edges")
+def radial_weights(spark, d):
+    n = len(coupling.paths(2, 1, 2))
+    got = kernels.radial_weights(_edges(spark, d), K, n, 8, R_CUT)
+    return got.select("dst", "src", ((F.size("w") == K * n) & F.forall("w", lambda x: ~F.isnan(x))).alias("complete"))
+
+
+@query()
+def kernel_plan_stats(spark, d):
+    """What each form of the product costs in stages: the chain writes out a result per path, the fused form none."""
+    inputs = _inputs(spark, d)
+    forms = {"dense chain": kernels.product_dense_chain(inputs, K), "sparse join": kernels.product_sparse(inputs, K), "fused": kernels.product_fused(inputs, K)}
+    rows = [(name, *kernels.plan_stats(df).values()) for name, df in forms.items()]
+    return literal_table(spark, rows, "form string, exchanges int, joins int, aggregates int, arrow int, materialised int")
+
+
+@query()
+def edge_product_tuple_chain(spark, d):
+    """The finest baseline on one graph, with one channel and orders up to one."""
+    v = graphs.vertices(spark, d).where("graph_id = 0")
+    inputs = kernels.edge_inputs(graphs.radius_edges(v, R_CUT), v, _y(), R_CUT)
+    return _rounded(kernels.product_tuple_chain(inputs, 1), "dst", "k", "l3", "m3")

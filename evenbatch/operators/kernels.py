@@ -275,3 +275,34 @@ def harmonics_fused(edges: DataFrame, lmax: int) -> DataFrame:
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in edges.schema) + ", y array<double>"
     return edges.mapInArrow(run, schema)
+
+
+def embed(v: DataFrame, channels: int, species: int = 10) -> DataFrame:
+    """v with h0: the species' scalar of each channel, from a broadcast table of one row a species."""
+    table = literal_table(v.sparkSession, [(z, [small_weight(z, k) for k in range(channels)]) for z in range(species)], "z int, h0 array<double>")
+    return v.join(F.broadcast(table), "z")
+
+
+def radial_weights(edges: DataFrame, channels: int, n_paths: int, n_radial: int, r_cut: float) -> DataFrame:
+    """edges with w: the weights of each channel and path, from a perceptron on the radial basis, in one Arrow stage."""
+    from ..functions.harmonics import bessel
+
+    rng = np.random.default_rng(5)
+    shared = edges.sparkSession.sparkContext.broadcast((rng.normal(size=(n_radial, 16)) * 0.4, rng.normal(size=(16, channels * n_paths)) * 0.3))
+    names = edges.columns
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        first, second = shared.value
+        for batch in batches:
+            if batch.num_rows:
+                u = bessel(batch.column(names.index("r")).to_numpy(), n_radial, r_cut) @ first
+                yield pa.RecordBatch.from_arrays([*batch.columns, _lists((u / (1 + np.exp(-u))) @ second)], [*names, "w"])
+
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in edges.schema) + ", w array<double>"
+    return edges.mapInArrow(run, schema)
+
+
+def plan_stats(df: DataFrame) -> dict[str, int]:
+    """Stages that a form needs: exchanges, joins, aggregations and Arrow stages of its physical plan."""
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    return {"exchanges": plan.count("Exchange"), "joins": plan.count("Join"), "aggregates": plan.count("HashAggregate"), "arrow": plan.count("MapInArrow"), "materialised": plan.count("Scan ExistingRDD") + plan.count("RDDScan")}

@@ -87,3 +87,14 @@ def test_symmetries(dtype, limit):
         assert np.abs(net.forces(x @ turn.T, z) - f @ turn.T).max() / (1 + np.abs(f).max()) < 1e-5
         apart = np.concatenate((x, x + 50.0))
         assert net.energies(apart, np.concatenate((z, z))).sum() == pytest.approx(2 * e)
+
+
+def test_tuple_chain_equals_joins(spark, sf):
+    from evenbatch.kernel_queries import _y
+    from evenbatch.operators import graphs, kernels
+
+    v = graphs.vertices(spark, sf).where("graph_id = 0")
+    inputs = kernels.edge_inputs(graphs.radius_edges(v, 0.25), v, _y(), 0.25)
+    a = {(r.dst, r.k, r.l3, r.m3): r.val for r in kernels.product_tuple_chain(inputs, 1).collect()}
+    b = {(r.dst, r.k, r.l3, r.m3): r.val for r in kernels.product_sparse(inputs, 1, 1, 1, 1).collect()}
+    assert a.keys() == b.keys() and all(a[k] == pytest.approx(b[k]) for k in a)
