@@ -15,6 +15,7 @@ from collections.abc import Iterable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 #: Elements whose content is markup or machinery, taken as raw text up to their end tag.
 RAW = frozenset("script style noscript template svg math iframe object canvas audio video textarea xmp noembed noframes".split())
@@ -250,7 +251,10 @@ LABELLED_PAGES = 500
 
 
 def weights_from(pages: DataFrame, limit: int = LABELLED_PAGES) -> dict[str, float]:
-    """Weights from a bounded sample of pages that mark their article; the defaults where there is none."""
-    marked = pages.select("page_id", "html").where("lower(html) LIKE '%<article%' OR lower(html) LIKE '%<main%'").orderBy("page_id", "html").limit(limit)
+    """Weights from a bounded sample of pages that mark their article, chosen by a hash so that tasks send only about as
+    many rows as are wanted; the defaults where there is none."""
+    there, draw = pages.count(), F.pmod(F.xxhash64("page_id", "url"), F.lit(1 << 30))
+    some = pages.select("page_id", "url", "html").where(draw < F.lit(min(1 << 30, 2 * limit * (1 << 30) // max(1, there))))
+    marked = some.where("lower(html) LIKE '%<article%' OR lower(html) LIKE '%<main%'").orderBy(draw, "html").limit(limit)
     sources = [r["html"] for r in marked.collect()]
     return learn_weights(sources) if sources else dict(DEFAULT_WEIGHTS)
