@@ -16,6 +16,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -28,6 +29,20 @@ SEGMENT_IDS = 2_000_000
 SELECT_EVERY = 64
 #: Remembered words of a Python worker at most.
 MEMORY_WORDS = 800_000
+#: Longer words are not remembered.
+MEMORY_CHARS = 64
+#: A sign in ASCII right after an ASCII or Latin-1 letter (UTF-8; not the signs of multiplication and division).
+SIGN = re.compile(rb"[^a-z0-9\s\x80-\xff](?:(?<=[a-z].)|(?<=\xc3[\x80-\x96\x98-\xb6\xb8-\xbf].))", re.DOTALL)
+#: Combining marks that join ASCII letters start with these bytes; A-Z may join others of them than a-z.
+MARKS = re.compile(rb"[\xcc\xcd]")
+
+
+def apart(text: bytes) -> bytes:
+    """A text that the library gives the same ids, with fewer different words between spaces: lower case, and a space
+    where it splits a sign from letters. Texts with combining marks or what may be a special token keep their letters."""
+    if b"<|" not in text and not MARKS.search(text):
+        text = SIGN.sub(rb" \g<0>", text.lower())
+    return text.replace(b"\n", b" ")
 
 
 class EliasFano:
@@ -122,7 +137,7 @@ class WordTokenizer:
         self.library = Tokenizer.from_file(path)
         self.width = 2 if self.library.get_vocab_size() <= 1 << 16 else 4
         self.kind = f"<u{self.width}"
-        self.words = _Memory(self)
+        self.words: dict[str, bytes] = {}
         last = [False] * (max(self.library.get_vocab().values()) + 1)
         for token, i in self.library.get_vocab().items():
             last[i] = token.endswith("</w>")
@@ -133,55 +148,47 @@ class WordTokenizer:
         return np.array(self.library.encode(text, add_special_tokens=False).ids, dtype=self.kind).tobytes()
 
     def encode(self, text: str) -> bytes:
-        return self.encode_many([text])[0]
-
-    def encode_many(self, texts: list[str]) -> list[bytes]:
-        """Ids of whole texts. Plain words not yet known go to the library many at a time, and their ids are told apart
-        by the tokens that end a word."""
+        return self.encode_many([text.encode()])[0].tobytes()
+
+    def encode_many(self, texts: list[bytes | None]) -> list[np.ndarray]:
+        """Ids of whole UTF-8 texts. Arrow tells the distinct words of all of them, each is looked up once, and the ids
+        of the texts are gathered from those."""
+        split = pc.split_pattern(pa.array([apart(t or b"") for t in texts], pa.large_binary()), " ")
+        coded = split.values.dictionary_encode()
+        bodies = self.look_up(coded.dictionary.cast(pa.large_string()).to_pylist())
+        lengths = np.fromiter(map(len, bodies), dtype=np.int64, count=len(bodies)) // self.width
+        flat = np.frombuffer(b"".join(bodies), dtype=self.kind)
+        begins = np.cumsum(lengths) - lengths
+        word = coded.indices.to_numpy()
+        held = lengths[word]
+        ends = np.concatenate(([0], np.cumsum(held)))
+        ids = flat[np.repeat(begins[word] - ends[:-1], held) + np.arange(ends[-1])]
+        bounds = ends[split.offsets.to_numpy()].tolist()
+        return [ids[a:b] for a, b in zip(bounds, bounds[1:])]
+
+    def look_up(self, words: list[str]) -> list[bytes]:
+        """The ids of distinct words: from memory, or from the library, which gets runs of letters joined to lines and
+        all others one by one."""
         known = self.words
         if len(known) > MEMORY_WORDS:
             known.clear()
-        parts = [t.split(" ") for t in texts]
-        fresh: set[str] = set()
-        for word in set().union(*parts).difference(known.keys()):
-            for piece in word.split("\n"):
-                if (m := known.tail.match(piece)) and (core := known.core(m[1])):
-                    fresh.add(core)
-        words = [w for w in fresh if w not in known]
-        lines = [words[i : i + 64] for i in range(0, len(words), 64)]
+        fresh = [w for w in words if w not in known]
+        plain = [w for w in fresh if w.isalpha()]
+        lines = [plain[i : i + 64] for i in range(0, len(plain), 64)]
         for line, got in zip(lines, self.library.encode_batch_fast([" ".join(x) for x in lines], add_special_tokens=False)):
             ids = np.array(got.ids)
-            ends = np.flatnonzero(self.last[ids]) + 1
+            ends = ((np.flatnonzero(self.last[ids]) + 1) * self.width).tolist()
             if len(ends) == len(line):
-                known.update(zip(line, (x.tobytes() for x in np.split(ids.astype(self.kind), ends[:-1]))))
-        return [b"".join(map(known.__getitem__, p)) for p in parts]
-
-
-class _Memory(dict):
-    tail = re.compile(r"([^\W\d_]+)([.,!?:;]*)\Z")
-
-    def __init__(self, owner: WordTokenizer):
-        self.owner = owner
-
-    @staticmethod
-    def core(letters: str) -> str | None:
-        """The letters as they are remembered; none if in lower case they are not all letters, as signs after them would
-        then belong to the last one."""
-        return letters.lower() if letters.isascii() else letters if letters.lower().isalpha() else None
-
-    def __missing__(self, word: str) -> bytes:
-        if "\n" in word:
-            found = b"".join(map(self.__getitem__, word.split("\n")))
-            return found
-        m = self.tail.match(word)
-        core = m and self.core(m[1])
-        if core and (m[2] or core != m[1]):
-            found = self[core] + (self[m[2]] if m[2] else b"")
-        else:
-            found = self.owner.plain(word)
-        if len(word) <= 64:
-            self[word] = found
-        return found
+                body = ids.astype(self.kind).tobytes()
+                known.update(zip(line, (body[a:b] for a, b in zip([0, *ends], ends))))
+        others = [w for w in fresh if w not in known]
+        for w, got in zip(others, self.library.encode_batch_fast(others, add_special_tokens=False)):
+            known[w] = np.array(got.ids, dtype=self.kind).tobytes()
+        out = [known[w] for w in words]
+        for w in others:
+            if len(w) > MEMORY_CHARS:
+                del known[w]
+        return out
 
 
 _tokenizers: dict[str, WordTokenizer] = {}
@@ -204,20 +211,22 @@ def write_segments(df: DataFrame, path: str, end_id: int, key: str = "doc_id", t
 
         part, seq = TaskContext.get().partitionId(), 0
         words = tokenizer(path)
-        last = np.array([end_id], dtype=words.kind).tobytes()
         keys, bodies, size = [], [], 0
 
         def closed() -> pa.RecordBatch:
-            ends = np.cumsum(np.array([len(b) // words.width for b in bodies], dtype=np.int64))
-            blob = pack(keys, ends, b"".join(bodies), words.width)
+            ends = np.cumsum(np.array([len(b) for b in bodies], dtype=np.int64) + 1)
+            whole = np.full(int(ends[-1]), end_id, dtype=words.kind)
+            inside = np.ones(len(whole), dtype=bool)
+            inside[ends - 1] = False
+            whole[inside] = np.concatenate(bodies)
+            blob = pack(keys, ends, whole.tobytes(), words.width)
             return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([seq], pa.int64()), pa.array([len(keys)], pa.int64()), pa.array([int(ends[-1])], pa.int64()), pa.array([blob], pa.binary())], ["part", "seq", "n_docs", "n_ids", "segment"])
 
         for batch, texts in text_batches(batches):
-            for k, body in zip(batch.column(0).to_pylist(), words.encode_many([raw.decode() if raw else "" for raw in texts])):
-                body += last
+            for k, body in zip(batch.column(0).to_pylist(), words.encode_many(texts)):
                 keys.append(k)
                 bodies.append(body)
-                size += len(body) // words.width
+                size += len(body) + 1
                 if size >= SEGMENT_IDS:
                     yield closed()
                     keys, bodies, size, seq = [], [], 0, seq + 1

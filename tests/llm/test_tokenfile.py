@@ -34,7 +34,7 @@ def test_segment_with_null_and_negative_keys():
 def test_remembered_words_equal_the_library():
     rng = random.Random(5)
     words = tokenizer(PATH)
-    parts = ["the", "The", "THE,", "don't", "it's.", "é", "É!", " ", "  ", "\n", "\t", "\x1c", "\xa0", "123", "a1b2", "日本", "<|endoftext|>", "x.", ",", "...", "ﬁ", "é", "́", "Σ", "İ", "'s", "-", "a-b;", "\r\n"]
+    parts = ["the", "The", "THE,", "don't", "it's.", "é", "É!", " ", "  ", "\n", "\t", "\x1c", "\xa0", "123", "a1b2", "日本", "<|endoftext|>", "x.", ",", "...", "ﬁ", "é", "́", "Σ", "İ", "'s", "-", "a-b;", "\r\n", "T\u0308", "h\u0331", "=", "\u0338", "×", "÷.", "…", ".%%%", "<|", "|>", "<|ENDOFTEXT|>"]
     for _ in range(3000):
         text = "".join(rng.choices(parts, k=rng.randint(0, 10)))
         assert words.encode(text) == words.plain(text), text
