@@ -68,7 +68,7 @@ class Model:
 
     def backoff(self, word: str) -> np.ndarray:
         """Mean over the word's places of the longest known n-gram there, weighed as two words at most."""
-        marked = f"<{word}>"[:66]
+        marked = f"<{word}>"
         total, places = self.nothing, 0
         for end in range(2, len(marked) + 1):
             for n in range(min(LONGEST, end), 0, -1):
@@ -123,7 +123,7 @@ def learn(labelled: DataFrame, key: str = "doc_id", text: str = "text", label: s
         for lang, seen in words.items():
             grams: list[Counter] = [Counter() for _ in range(LONGEST + 1)]
             for word, c in seen.items():
-                for g in grams_of(word[:64]):
+                for g in grams_of(word):
                     grams[len(g)][g] += c
             for n, counter in enumerate([seen, *grams[1:]]):
                 yield pa.RecordBatch.from_arrays([pa.array([lang] * len(counter), pa.string()), pa.array([n] * len(counter), pa.int32()), pa.array(list(counter), pa.string()), pa.array(list(counter.values()), pa.int64())], ["lang", "n", "gram", "seen"])

@@ -34,3 +34,8 @@ def test_nothing_to_learn_from(spark):
     empty = spark.createDataFrame([], "doc_id long, text string, lang string")
     model = langid.learn(empty)
     assert model.predict("words") == ("und", 0.0) and langid.predict(empty, model).count() == 0
+
+
+def test_long_words_count_whole():
+    model = langid.Model([("en", 0, "the", 9), ("fr", 0, "le", 9), *((lang, 1, c, 50) for lang, c in (("en", "w"), ("fr", "q")))])
+    assert model.predict("w" * 70 + "q" * 400)[0] == "fr" and model.predict("q" * 70 + "w" * 400)[0] == "en"
