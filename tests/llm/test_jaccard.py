@@ -75,3 +75,13 @@ def test_components_of_a_long_path(spark):
     n = 300
     edges = spark.range(n - 1).selectExpr("id + 1 AS a", "id AS b")
     assert {r.component for r in components(edges).collect()} == {0}
+
+
+@pytest.mark.parametrize("order", ["valley", "shuffled"])
+def test_components_of_chains_in_any_order_of_ids(spark, order):
+    n = 200
+    ids = [*range(1, n, 2), *reversed(range(0, n, 2))]
+    if order == "shuffled":
+        random.Random(5).shuffle(ids)
+    edges = spark.createDataFrame(list(zip(ids, ids[1:])), "a long, b long")
+    assert sorted(map(tuple, components(edges).collect())) == [(i, 0) for i in range(n)]
