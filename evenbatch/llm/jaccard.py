@@ -273,7 +273,7 @@ def enough(pairs: DataFrame, sieve: np.ndarray) -> DataFrame:
 
 
 def verify(docs: DataFrame, pairs: DataFrame, shared) -> DataFrame:
-    """The (a, b) of pairs whose sets reach the threshold."""
+    """The (a, b) of pairs of ids of which some sets reach the threshold; rows of one id may have different sets."""
     pairs = materialise(pairs.select("a", "b"), "pairs")
     hubs = pairs.groupBy("a").agg((F.ceil(F.count("*") / PARTNERS)).alias("deals"))
     dealt = pairs.join(hubs, "a").withColumn("deal", F.pmod(F.xxhash64("b"), "deals"))
@@ -285,15 +285,16 @@ def verify(docs: DataFrame, pairs: DataFrame, shared) -> DataFrame:
             keys = batch.column(0).to_pylist()
             hit = [i for i, ok in enumerate(passes(sieve.value, np.array([k or 0 for k in keys], dtype=np.int64))) if ok and keys[i] is not None]
             sets = list(shingle_sets([texts[i] for i in hit], WORDS)) if hit else []
-            yield pa.RecordBatch.from_arrays([pa.array([keys[i] for i in hit], pa.int64()), pa.array([order(s, shared.value).tobytes() for s in sets], pa.binary())], ["doc_id", "grams"])
+            prints = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets]
+            yield pa.RecordBatch.from_arrays([pa.array([keys[i] for i in hit], pa.int64()), pa.array(prints, pa.binary()), pa.array([order(s, shared.value).tobytes() for s in sets], pa.binary())], ["doc_id", "print", "grams"])
 
-    sets = docs.mapInArrow(run, "doc_id long, grams binary").dropDuplicates(["doc_id"])
+    sets = docs.mapInArrow(run, "doc_id long, print binary, grams binary").dropDuplicates(["doc_id", "print"]).drop("print")
 
     def join(frame: pd.DataFrame) -> pd.DataFrame:
         hub = frame["a"].iloc[0]
         members = [(k, np.frombuffer(g, dtype=np.uint64)) for k, g in zip(frame["doc_id"], frame["grams"])]
-        probe = next(g for k, g in members if k == hub)
-        got = [k for k, _ in Trie([m for m in members if m[0] != hub]).join(probe)]
+        others = Trie([m for m in members if m[0] != hub])
+        got = sorted({k for own, probe in members if own == hub for k, _ in others.join(probe)})
         return pd.DataFrame({"a": [hub] * len(got), "b": got}, dtype="int64")
 
     return materialise(wanted.join(sets, "doc_id").groupBy("a", "deal").applyInPandas(join, "a long, b long"), "links")
@@ -312,6 +313,9 @@ def link(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     parts = max(1, int(total) // PART_SHINGLES + 1)
     hits = meet(prefix_index(docs, shared, parts), shared)
     reps = members.select("doc_id", "rep").distinct()
+    # the classes of all texts of an id are one node
+    several = reps.groupBy("doc_id").agg(F.min("rep").alias("a"), F.max("rep").alias("last")).where("a <> last").select("doc_id", "a")
+    same = materialise(reps.join(several, "doc_id").where("a <> rep").select("a", F.col("rep").alias("b")), "same")
 
     def of_reps(pairs: DataFrame) -> DataFrame:
         there = pairs.join(reps.select(F.col("doc_id").alias("a"), F.col("rep").alias("ra")), "a").join(reps.select(F.col("doc_id").alias("b"), F.col("rep").alias("rb")), "b")
@@ -330,7 +334,7 @@ def link(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     stars = materialise(stars.join(live, "gram", "left_semi"), "stars")
     centres = stars.groupBy("gram").agg(F.min(F.struct("doc_id", "n")).alias("c")).select("gram", F.col("c.doc_id").alias("centre"), F.col("c.n").alias("nc"))
     rays = stars.join(centres, "gram").where((F.col("doc_id") != F.col("centre")) & long_enough(F.col("n"), F.col("nc"))).select(F.col("centre").alias("a"), F.col("doc_id").alias("b"))
-    links = verify(docs, few.select("a", "b").unionByName(rays).distinct(), shared)
+    links = verify(docs, few.select("a", "b").unionByName(rays).distinct(), shared).unionByName(same)
     found = components(links)
     # members of a star outside its centre's component meet the others there
     placed = stars.join(found.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))

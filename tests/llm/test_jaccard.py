@@ -62,6 +62,15 @@ def test_empty_null_and_repeated_rows(spark):
     assert got == sorted([(None, 1, None), (1, 1, 0), (1, 1, 0), (0, 1, 0), (5, 0, 5)], key=repr)
 
 
+@pytest.mark.parametrize("first", [0, 1])
+def test_rows_of_an_id_with_different_texts_are_one_node(spark, first):
+    a, b = (" ".join(f"{x}{i}" for i in range(40)) for x in "ab")
+    both = [a, b]
+    rows = [(7, both[first]), (7, both[1 - first]), (3, a + " more"), (9, b + " more"), (8, "c"), (7, None)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string").coalesce(1)
+    assert sorted((r.doc_id, r.component_id) for r in jaccard.link(frame).collect()) == [(3, 3), (7, 3), (7, 3), (7, 3), (8, 8), (9, 3)]
+
+
 def test_trie_finds_what_pairs_find():
     rng = np.random.default_rng(4)
     sets = [np.unique(rng.integers(0, 60, rng.integers(1, 40)).astype(np.uint64)) for _ in range(80)]
