@@ -134,23 +134,21 @@ class Page:
     def scores(self, weights: dict[str, float]) -> list[float]:
         out = []
         was = False
-        for kind, value, excluded, link, _, _ in self.tokens:
+        for kind, value, excluded, link, inside, _ in self.tokens:
             edge = weights["edge"] if excluded and not was else 0.0
             was = excluded
             if excluded:
                 out.append(edge + (weights["tag"] if kind != "text" else 0.0))
             elif kind == "text":
-                out.append(len(value.split()) * (weights["link"] if link else weights["word"]))
+                out.append(len(value.split()) * (weights["link"] if link else weights["word"] * (1 + inside)))
             else:
                 out.append(weights["tag"])
         return out
 
     def region(self, weights: dict[str, float]) -> tuple[int, int]:
-        """The best contiguous run of tokens, by one scan. Where the page marks its article, that is the run's frame."""
+        """The best contiguous run of tokens of the whole page, by one scan; words of a marked article count twice."""
         best, best_at, total, start = 0.0, (0, 0), 0.0, 0
-        for i, (score, token) in enumerate(zip(self.scores(weights), self.tokens)):
-            if self.content and not token[4]:
-                continue
+        for i, score in enumerate(self.scores(weights)):
             if total <= 0:
                 total, start = 0.0, i
             total += score
@@ -193,16 +191,13 @@ class Page:
 
     def text(self, weights: dict[str, float]) -> str:
         a, b = self.region(weights)
-        if self.content:  # the marked article counts whole: its edges may hold short blocks
-            marked = [i for i, t in enumerate(self.tokens) if t[4]]
-            a, b = (marked[0], marked[-1] + 1) if b > a and marked else (a, b)
-        elif b > a:
+        if b > a:
             a, b = self.widened(a, b)
         blocks: list[list[str]] = [[]]
-        for kind, value, excluded, _, inside, _ in self.tokens[a:b]:
+        for i, (kind, value, excluded, _, inside, _) in enumerate(self.tokens if b > a else []):
             if kind == "block":
                 blocks.append([])
-            if excluded or (self.content and not inside):
+            if excluded or not (a <= i < b or inside):  # a marked article counts whole: its edges may hold short blocks
                 continue
             if kind == "text":
                 blocks[-1].append(entities.unescape(value))

@@ -29,3 +29,10 @@ def test_frame(spark):
     got = extract_pages(spark.createDataFrame(rows, "page_id long, url string, html string, text int")).collect()
     assert sorted((r.page_id or 0, r.text, r.n_chars) for r in got) == [(0, "", 0), (1, "é x", 3), (1, "é x", 3), (2, "", 0)]
     assert extract_pages(spark.createDataFrame([], "page_id long, url string, html string"), DEFAULT_WEIGHTS).count() == 0
+
+
+@pytest.mark.parametrize("mark", ["article", "main"])
+def test_the_run_reaches_beyond_a_mark_that_holds_only_the_heading(mark):
+    body = " ".join(f"w{i}" for i in range(60))
+    page = f"<body><nav>menu</nav><{mark}><h1>Head line</h1></{mark}><div><p>{body}</p><p>{body}</p></div><footer>foot</footer></body>"
+    assert extract(page) == f"Head line\n{body}\n{body}"
