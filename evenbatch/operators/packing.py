@@ -147,7 +147,8 @@ def pack_balanced(df: DataFrame, capacity: int, ranks: int, strategy: str = "int
         n_alone = lone.count()
         lone = lone.withColumn("bin_id", F.col("place") + n_bins)
         pad = bin_count(n_bins + n_alone, 1, ranks)
-        assignment = assignment.select("id", "size", "bin_id").unionByName(lone.select("id", "size", "bin_id"))
+        kept = [c for c in ("id", "size", "bin_id", "level", "lap") if c in assignment.columns]
+        assignment = assignment.select(*kept).unionByName(lone.select("id", "size", "bin_id"), allowMissingColumns=True)
         own = bins_of(lone, pad).where(F.col("bin_id") >= n_bins).withColumn("is_oversize", F.col("n_items") > 0)
         bins, n_bins = bins.unionByName(own), pad
     return PackResult(assignment, bins, trace, n_bins)

@@ -52,12 +52,12 @@ def pack_balanced_docs(spark, d):
 
 @query()
 def pack_assignment_docs(spark, d):
-    return pack_balanced(doc_sizes(spark, d, CAPACITY), CAPACITY, RANKS).assignment.select("id", "size", "bin_id", "level", "lap")
+    return pack_balanced(doc_sizes(spark, d), CAPACITY, RANKS, oversize="isolate").assignment.select("id", "size", "bin_id", "level", "lap")
 
 
 def _packed_mixed(spark, d):
-    graphs_ = mixed_graphs(spark, d).where(f"n_vertices <= {CAPACITY}").select(F.struct("source", "graph_id").alias("id"), F.col("n_vertices").alias("size"))
-    return pack_balanced(graphs_, CAPACITY, RANKS)
+    graphs_ = mixed_graphs(spark, d).select(F.struct("source", "graph_id").alias("id"), F.col("n_vertices").alias("size"))
+    return pack_balanced(graphs_, CAPACITY, RANKS, oversize="isolate")
 
 
 @query()
@@ -80,19 +80,19 @@ def pack_summary_balanced(spark, d):
 
 @query()
 def pack_objectives_balanced(spark, d):
-    return measures.pack_summary(pack_balanced(doc_sizes(spark, d, CAPACITY), CAPACITY, RANKS).bins, CAPACITY)
+    return measures.pack_summary(pack_balanced(doc_sizes(spark, d), CAPACITY, RANKS, oversize="isolate").bins, CAPACITY)
 
 
 @query()
 def pack_trace(spark, d):
     """Laps: items placed, bins marked full, second chances, levels of recursion."""
-    trace = pack_balanced(doc_sizes(spark, d, CAPACITY), CAPACITY, RANKS).trace
+    trace = pack_balanced(doc_sizes(spark, d), CAPACITY, RANKS, oversize="isolate").trace
     return literal_table(spark, [tuple(int(t[k]) for k in ("level", "lap", "placed", "marked", "reactivated", "active")) for t in trace], "level long, lap long, placed long, marked long, reactivated long, active long")
 
 
 @query()
 def pack_local_docs(spark, d):
-    return pack_balanced(doc_sizes(spark, d, CAPACITY), CAPACITY, RANKS, strategy="local").assignment.select("id", "size", "bin_id")
+    return pack_balanced(doc_sizes(spark, d), CAPACITY, RANKS, oversize="isolate", strategy="local").assignment.select("id", "size", "bin_id")
 
 
 @query(f"WITH {FIT} SELECT id, size, true AS same FROM fit")
@@ -106,34 +106,34 @@ def pack_strategies_agree(spark, d):
 
 @query()
 def pack_rounds_docs(spark, d):
-    return pack_balanced(doc_sizes(spark, d, CAPACITY), CAPACITY, RANKS, strategy="rounds").assignment.select("id", "size", "bin_id")
+    return pack_balanced(doc_sizes(spark, d), CAPACITY, RANKS, oversize="isolate", strategy="rounds").assignment.select("id", "size", "bin_id")
 
 
 @query()
 def pack_sharded_docs(spark, d):
-    return measures.pack_summary(pack_balanced(doc_sizes(spark, d, CAPACITY), CAPACITY, RANKS, strategy="sharded", shards=4).bins, CAPACITY)
+    return measures.pack_summary(pack_balanced(doc_sizes(spark, d), CAPACITY, RANKS, oversize="isolate", strategy="sharded", shards=4).bins, CAPACITY)
 
 
 @query()
 def pack_no_reactivate(spark, d):
-    return measures.pack_summary(pack_balanced(doc_sizes(spark, d, CAPACITY), CAPACITY, RANKS, reactivate=False).bins, CAPACITY)
+    return measures.pack_summary(pack_balanced(doc_sizes(spark, d), CAPACITY, RANKS, oversize="isolate", reactivate=False).bins, CAPACITY)
 
 
 @query()
 def pack_no_recursion(spark, d):
-    got = pack_balanced(doc_sizes(spark, d, CAPACITY), CAPACITY, RANKS, recursive=False)
+    got = pack_balanced(doc_sizes(spark, d), CAPACITY, RANKS, oversize="isolate", recursive=False)
     return got.assignment.agg(F.count("*").alias("items"), F.count_if(F.col("bin_id").isNull()).alias("unassigned"))
 
 
 @query()
 def pack_fullest_first(spark, d):
-    return measures.pack_summary(pack_balanced(doc_sizes(spark, d, CAPACITY), CAPACITY, RANKS, strategy="local", bin_order="fullest_first").bins, CAPACITY)
+    return measures.pack_summary(pack_balanced(doc_sizes(spark, d), CAPACITY, RANKS, oversize="isolate", strategy="local", bin_order="fullest_first").bins, CAPACITY)
 
 
 @query()
 def pack_epoch_shuffled(spark, d):
     """An epoch's steps, shuffled with the epoch's seed: the same on every process."""
-    got = pack_balanced(doc_sizes(spark, d, CAPACITY), CAPACITY, RANKS, seed=5)
+    got = pack_balanced(doc_sizes(spark, d), CAPACITY, RANKS, oversize="isolate", seed=5)
     return schedule(got.bins, RANKS, "shuffled", 5)
 
 
@@ -210,24 +210,33 @@ def batch_fixed4_drop_tail(spark, d):
     return measures.bin_loads(batch_fixed_count(doc_sizes(spark, d), 4, tail="drop", ranks=8))
 
 
+def _sequential(spark, d, rule: str, decreasing: bool = False) -> DataFrame:
+    """Bins of a sequential rule; documents over the capacity have bins of their own behind them."""
+    fit, alone = apply_oversize(doc_sizes(spark, d), CAPACITY, "isolate")
+    placed = pack_sequential(fit, rule, CAPACITY, decreasing=decreasing).select("id", "size", "bin_id")
+    n = (placed.agg(F.max("bin_id")).first()[0] if placed.head(1) else -1) + 1
+    lone = with_global_rank(alone, [F.col("size").desc(), F.col("id").asc()]).select("id", "size", (F.col("place") + n).alias("bin_id"))
+    return placed.unionByName(lone)
+
+
 @query()
 def pack_first_fit(spark, d):
-    return measures.bin_loads(pack_sequential(doc_sizes(spark, d, CAPACITY), "first", CAPACITY))
+    return measures.bin_loads(_sequential(spark, d, "first"))
 
 
 @query()
 def pack_first_fit_decreasing(spark, d):
-    return measures.bin_loads(pack_sequential(doc_sizes(spark, d, CAPACITY), "first", CAPACITY, decreasing=True))
+    return measures.bin_loads(_sequential(spark, d, "first", decreasing=True))
 
 
 @query()
 def pack_best_fit(spark, d):
-    return measures.bin_loads(pack_sequential(doc_sizes(spark, d, CAPACITY), "best", CAPACITY))
+    return measures.bin_loads(_sequential(spark, d, "best"))
 
 
 @query()
 def pack_best_fit_decreasing(spark, d):
-    return measures.bin_loads(pack_sequential(doc_sizes(spark, d, CAPACITY), "best", CAPACITY, decreasing=True))
+    return measures.bin_loads(_sequential(spark, d, "best", decreasing=True))
 
 
 @query(f"""WITH RECURSIVE {FIT}, o AS (SELECT id, size, row_number() OVER (ORDER BY id) AS n FROM fit),
@@ -346,9 +355,10 @@ def _threshold(f: float) -> int:
 
 
 def _subset(spark, d, fraction: float) -> DataFrame:
-    """A nested subset of the documents that fit, by a hash."""
-    items = doc_sizes(spark, d, CAPACITY)
-    return items if fraction >= 1 else items.where(portable_hash(F.col("id"), 1) < _threshold(fraction))
+    """A nested subset of the graphs of all eight sources, by a hash; ids lie in the order of the hash, so that sources mix."""
+    h = F.pmod(F.xxhash64("source", "graph_id"), F.lit(1 << 32))
+    items = mixed_graphs(spark, d).select(F.struct(h.alias("h"), "source", "graph_id").alias("id"), F.col("n_vertices").cast("long").alias("size"))
+    return items if fraction >= 1 else items.where(F.col("id.h") < _threshold(fraction))
 
 
 @query(f"WITH {FIT} " + " UNION ALL ".join(f"SELECT '{n}' AS subset, count(*) AS items, CAST(sum(size) AS BIGINT) AS tokens FROM fit WHERE (id + 1) * 2654435761 % 4294967296 < {_threshold(f)}" for n, f in FRACTIONS))
@@ -369,7 +379,7 @@ def _times(spark, d, ranks: int, fraction: float = 1.0) -> list[tuple]:
     """(variant, epoch cost) of the four variants."""
     items = _subset(spark, d, fraction)
     fixed = measures.epoch_time(measures.on_ranks(measures.bin_loads(batch_fixed_count(items, 6)), ranks), ranks).first()["epoch_cost"] or 0.0
-    even = measures.epoch_time(schedule(pack_balanced(items, CAPACITY, ranks).bins, ranks), ranks).first()["epoch_cost"] or 0.0
+    even = measures.epoch_time(schedule(pack_balanced(items, CAPACITY, ranks, oversize="isolate").bins, ranks), ranks).first()["epoch_cost"] or 0.0
     return [("original", fixed), ("+balanced", even), ("+kernel", fixed / KERNEL_GAIN), ("+both", even / KERNEL_GAIN)]
 
 
@@ -439,10 +449,10 @@ def knee_fit(spark, d):
 
 @query()
 def capacity_sweep(spark, d):
-    """Bins, padding and modelled epoch cost of capacities, on documents of up to 1024 words."""
-    items, rows = doc_sizes(spark, d, 1024), []
+    """Bins, padding and modelled epoch cost of capacities; larger documents have bins of their own, whose pad is below 0."""
+    items, rows = doc_sizes(spark, d), []
     for c in (1024, 2048, 3072, 4096, 6144):
-        got = pack_balanced(items, c, RANKS)
+        got = pack_balanced(items, c, RANKS, oversize="isolate")
         cost = measures.epoch_time(schedule(got.bins, RANKS), RANKS, knee=800).first()
         s = measures.pack_summary(got.bins, c).first()
         rows.append((c, s["n_bins"], s["pad_tokens"], s["spread_tokens"], cost["n_steps"], cost["epoch_cost"]))

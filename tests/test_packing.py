@@ -1,7 +1,9 @@
 import random
 
 import pytest
+from pyspark.sql import functions as F
 
+from evenbatch import workloads
 from evenbatch.operators import measures
 from evenbatch.operators.packing import apply_oversize, batch_fixed_count, pack_balanced, schedule
 from evenbatch.plans.packing import OversizeError, bin_count, pack_exact, pack_fixed_bins, pack_greedy, pack_local, plan_intervals
@@ -133,3 +135,15 @@ def test_even_batches_beat_fixed_counts(spark, sf):
     even = measures.epoch_time(schedule(pack_balanced(docs, 3072, 8).bins, 8), 8).first()
     fixed = measures.epoch_time(measures.on_ranks(measures.bin_loads(batch_fixed_count(docs, 4)), 8), 8).first()
     assert round(fixed.ratio, 4) == 2.2099 and even.ratio < 1.1
+
+
+def test_experiments_keep_what_is_over_the_capacity(spark, sf, monkeypatch):
+    monkeypatch.setattr(workloads, "CAPACITY", 300)
+    docs = workloads.doc_sizes(spark, sf)
+    n, tokens = docs.agg(F.count("*"), F.sum("size")).first()
+    assert docs.where("size > 300").count()
+    got = workloads.pack_objectives_balanced(spark, sf).first()
+    assert (got.n_items, got.total_load) == (n, tokens)
+    assert workloads.pack_assignment_docs(spark, sf).count() == n
+    assert workloads.pack_first_fit(spark, sf).agg(F.sum("load")).first()[0] == tokens
+    assert workloads._subset(spark, sf, 1.0).agg(F.sum("size")).first()[0] == workloads.mixed_graphs(spark, sf).agg(F.sum("n_vertices")).first()[0]
