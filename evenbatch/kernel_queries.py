@@ -302,9 +302,7 @@ def kernel_plan_stats(spark, d):
     return literal_table(spark, rows, "form string, exchanges int, joins int, aggregates int, arrow int, materialised int")
 
 
-@query()
+@query(SHOW_PRODUCT)
 def edge_product_tuple_chain(spark, d):
-    """The finest baseline on one graph, with one channel and orders up to one."""
-    v = graphs.vertices(spark, d).where("graph_id = 0")
-    inputs = kernels.edge_inputs(graphs.radius_edges(v, R_CUT), v, _y(), R_CUT)
-    return _rounded(kernels.product_tuple_chain(inputs, 1), "dst", "k", "l3", "m3")
+    """The finest baseline: a job for each index tuple and channel, on all graphs."""
+    return _rounded(kernels.product_tuple_chain(_inputs(spark, d), K, 2, 1, 2), "dst", "k", "l3", "m3")

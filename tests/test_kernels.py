@@ -98,3 +98,10 @@ def test_tuple_chain_equals_joins(spark, sf):
     a = {(r.dst, r.k, r.l3, r.m3): r.val for r in kernels.product_tuple_chain(inputs, 1).collect()}
     b = {(r.dst, r.k, r.l3, r.m3): r.val for r in kernels.product_sparse(inputs, 1, 1, 1, 1).collect()}
     assert a.keys() == b.keys() and all(a[k] == pytest.approx(b[k]) for k in a)
+
+
+def test_tuple_chain_query_covers_all_graphs(spark, sf):
+    from evenbatch import kernel_queries as q
+
+    a, b = ({(r.dst, r.k, r.l3, r.m3): r.val for r in f(spark, sf).collect()} for f in (q.edge_product_tuple_chain, q.edge_product_sparse))
+    assert a.keys() == b.keys() and all(abs(a[x] - b[x]) < 2e-6 for x in b)
