@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .operators import graphs, measures
-from .operators.packing import apply_oversize, batch_fixed_count, pack_balanced, pack_balanced_by, pack_cyclic, pack_sequential, pack_snake, portable_hash, schedule, size_histogram, with_global_rank
+from .operators.packing import apply_oversize, batch_fixed_count, pack_balanced, pack_balanced_by, pack_cyclic, pack_sequential, pack_snake, portable_hash, schedule, settled, size_histogram, with_global_rank
 from .plans.packing import bin_count
 from .sources.tables import doc_sizes, literal_table, mixed_graphs, read_table, source_graphs
 
@@ -375,9 +375,8 @@ def subset_nested(spark, d):
 KERNEL_GAIN = 1.7
 
 
-def _times(spark, d, ranks: int, fraction: float = 1.0) -> list[tuple]:
+def _times(items: DataFrame, ranks: int) -> list[tuple]:
     """(variant, epoch cost) of the four variants."""
-    items = _subset(spark, d, fraction)
     fixed = measures.epoch_time(measures.on_ranks(measures.bin_loads(batch_fixed_count(items, 6)), ranks), ranks).first()["epoch_cost"] or 0.0
     even = measures.epoch_time(schedule(pack_balanced(items, CAPACITY, ranks, oversize="isolate").bins, ranks), ranks).first()["epoch_cost"] or 0.0
     return [("original", fixed), ("+balanced", even), ("+kernel", fixed / KERNEL_GAIN), ("+both", even / KERNEL_GAIN)]
@@ -388,7 +387,7 @@ def ablation_epoch_cost(spark, d):
     """{original, balanced, kernel, both} on {small, medium, large}, with more ranks for the larger ones."""
     rows = []
     for (name, f), ranks in zip(FRACTIONS, (2, 4, 8)):
-        times = _times(spark, d, ranks, f)
+        times = _times(settled(_subset(spark, d, f)), ranks)
         rows += [(name, ranks, v, t, times[0][1] / t if t else None) for v, t in times]
     return literal_table(spark, rows, "subset string, ranks int, variant string, epoch_cost double, speedup double")
 
@@ -396,9 +395,9 @@ def ablation_epoch_cost(spark, d):
 @query()
 def strong_scaling(spark, d):
     """The whole corpus on more and more ranks, with efficiency against the fewest."""
-    rows, first = [], {}
+    rows, first, items = [], {}, settled(_subset(spark, d, 1.0))
     for ranks in (2, 4, 8, 16):
-        for v, t in _times(spark, d, ranks):
+        for v, t in _times(items, ranks):
             first.setdefault(v, (t, ranks))
             rows.append((ranks, v, t, first[v][0] / (ranks / first[v][1] * t) * 100 if t else None))
     return literal_table(spark, rows, "ranks int, variant string, epoch_cost double, efficiency double")
@@ -409,7 +408,7 @@ def weak_scaling(spark, d):
     """As many graphs a rank throughout."""
     rows, first = [], {}
     for (name, f), ranks in zip(FRACTIONS, (2, 4, 8)):
-        for v, t in _times(spark, d, ranks, f):
+        for v, t in _times(settled(_subset(spark, d, f)), ranks):
             first.setdefault(v, t)
             rows.append((name, ranks, v, t, first[v] / t * 100 if t else None))
     return literal_table(spark, rows, "subset string, ranks int, variant string, epoch_cost double, efficiency double")
