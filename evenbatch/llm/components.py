@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .storage import materialise
+from .storage import discard, materialise
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -23,8 +23,10 @@ def components(edges: DataFrame) -> DataFrame:
         own = F.struct("node", F.least("top", "c").alias("c"), F.col("component").alias("was"))
         root = F.struct(F.col("component").alias("node"), "c", F.lit(None).cast("long").alias("was"))
         least = tops.join(near, "node").select(F.explode(F.array(own, root)).alias("x")).select("x.*")
-        labels = materialise(least.groupBy("node").agg(F.min("c").alias("component"), F.max("was").alias("was")), "labels")
-        changed = labels.where("component <> was").limit(1).count()
-        labels = labels.select("node", "component")
+        after = materialise(least.groupBy("node").agg(F.min("c").alias("component"), F.max("was").alias("was")), "labels")
+        changed = after.where("component <> was").limit(1).count()
+        discard(labels)
+        labels = after
         if not changed:
-            return labels
+            discard(both)
+            return labels.select("node", "component")

@@ -19,11 +19,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .textkernel import text_batches
+from .textkernel import KEPT, lean, text_batches
 
 MARK = "▁"
-#: Remembered words of a Python worker at most; the memory then starts anew.
-MEMORY_WORDS = 600_000
+#: Remembered words of a Python worker at most, some 200 bytes each; the memory then starts anew.
+MEMORY_WORDS = 250_000
 #: Words that are longer are encoded each time.
 MEMORY_CHARS = 64
 
@@ -208,14 +208,12 @@ class PieceModel:
         return text.removeprefix(MARK).replace(MARK, " ")
 
 
-_models: dict[str, PieceModel] = {}
-
-
 def model(path: str) -> PieceModel:
     """The model of this Python process."""
-    if path not in _models:
-        _models[path] = PieceModel(path)
-    return _models[path]
+    name = f"pieces {path}"
+    if name not in KEPT:
+        KEPT[name] = PieceModel(path)
+    return KEPT[name]
 
 
 COLUMNS = "n_tokens long, ids_sha256 string, decoded_sha256 string"
@@ -234,14 +232,14 @@ def encode_batches(path: str, keep: int) -> Callable[[Iterator[pa.RecordBatch]],
                 for text, body in zip(texts, spm.encode_many(texts)):
                     whole = np.frombuffer(b"".join((begin, body, end)), dtype="<u4")
                     decoded = spm.decode(whole)
-                    if decoded != text and decoded != spm.library.decode(whole.tolist()):
+                    if decoded != spm.library.decode(whole.tolist()):
                         raise ValueError("sentencepiece decodes a text in another way")
                     counts.append(len(whole))
                     ids_sha.append(hashlib.sha256(whole.tobytes()).hexdigest())
                     text_sha.append(hashlib.sha256(decoded.encode()).hexdigest())
                 yield pa.RecordBatch.from_arrays([*(part.column(i) for i in range(keep)), pa.array(counts, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string())], [*part.schema.names[:keep], "n_tokens", "ids_sha256", "decoded_sha256"])
 
-    return run
+    return lean(run, "pieces")
 
 
 def encode_documents(df: DataFrame, path: str, key: str = "doc_id", text: str = "text") -> DataFrame:

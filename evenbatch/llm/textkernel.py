@@ -7,8 +7,9 @@ given texts of a thousand n-grams each has a chance of about 1e6 / 2**64.
 
 from __future__ import annotations
 
+import ctypes
 import hashlib
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -132,9 +133,42 @@ def as_bytes(column: pa.Array) -> list[bytes | None]:
     return column.cast(kind).to_pylist() if not pa.types.is_binary(column.type) else column.to_pylist()
 
 
-def text_batches(batches: Iterable[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, list[bytes | None]]]:
+def text_batches(batches: Iterable[pa.RecordBatch], text: str = "text") -> Iterator[tuple[pa.RecordBatch, list[bytes | None]]]:
     """Parts of the batches of which each has about RUN_BYTES of text, with their texts as bytes."""
     for batch in batches:
-        texts = as_bytes(batch.column(batch.schema.get_field_index("text")))
+        texts = as_bytes(batch.column(batch.schema.get_field_index(text)))
         for a, b in runs(texts):
             yield batch.slice(a, b - a), texts[a:b]
+
+
+#: What the Python worker keeps between the tasks of an operator, by operator.
+KEPT: dict[str, object] = {}
+
+
+def tidy() -> None:
+    """Give free memory back to the machine: Arrow and the C library keep it otherwise."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
+def _only(keeps: str) -> None:
+    for name in [k for k in KEPT if not k.startswith(keeps or "-")]:
+        del KEPT[name]
+    tidy()
+
+
+def lean(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], keeps: str = "") -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """run, for mapInArrow, with little memory left behind: Spark's Python workers go from the tasks of one operator to
+    those of the next. A task first drops what other operators have kept in its worker (all of KEPT but names that begin
+    with keeps) and gives memory back when it ends."""
+
+    def held(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        _only(keeps)
+        try:
+            yield from run(batches)
+        finally:
+            tidy()
+
+    return held
