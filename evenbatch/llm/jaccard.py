@@ -8,7 +8,9 @@ prefix) of the smaller one. An index of these prefixes gives candidates:
 * a shingle that few sets have in their prefix gives its pairs, and as the number of shared prefix shingles bounds the
   overlap, pairs that share too few are dropped unseen;
 * a shingle that many have gives a star: each set with one of them. Members that end in another component than the
-  star's centre are paired with the rest of the shingle's sets, so that no link between components is lost.
+  star's centre are paired with the rest of the shingle's sets, so that no link between components is lost. A star's
+  members are dealt out, DEAL at a time, and what they are joined with is sent to each deal, so no task gets a whole star;
+  places in the global order bound the overlap that a pair can have.
 
 Candidates are verified by a prefix-tree join: the partners of a hub are a compressed trie of ordered sets, which the
 hub's set descends, sharing the overlap of common paths and leaving subtrees whose sizes can't reach the threshold.
@@ -31,8 +33,8 @@ from pyspark.sql import functions as F
 
 from .components import components
 from .sieve import passes, sieve_of
-from .storage import materialise
-from .textkernel import shingle_sets, text_batches
+from .storage import discard, materialise, send
+from .textkernel import lean, shingle_sets, text_batches, tidy
 
 WORDS = 5
 #: Cells of the count table, as a power of two, and the parts it travels in.
@@ -44,8 +46,9 @@ FLUSH_SHINGLES = 1_000_000
 #: Sets that share a prefix shingle: up to so many are paired, more become a star; beyond HOT a shingle is salted.
 FEW = 24
 HOT = 200_000
-#: Partners of a hub that one task gets.
+#: Partners of a hub that one task gets, and members of a star that are joined at a time.
 PARTNERS = 128
+DEAL = 500
 
 
 def needed(a, b):
@@ -130,7 +133,7 @@ def shingled(docs: DataFrame) -> DataFrame:
             parts = [zlib.compress(x.tobytes(), 1) for x in np.split(cells, SLICES)]
             yield pa.RecordBatch.from_arrays([pa.array([1] * SLICES, pa.int32()), pa.array([None] * SLICES, pa.int64()), pa.array([None] * SLICES, pa.int64()), pa.array(parts, pa.binary()), pa.array(range(SLICES), pa.int32())], ["kind", "doc_id", "n", "print", "slice"])
 
-    return materialise(docs.mapInArrow(run, "kind int, doc_id long, n long, print binary, slice int"), "sets", ("kind",))
+    return materialise(docs.mapInArrow(lean(run), "kind int, doc_id long, n long, print binary, slice int"), "sets", ("kind",))
 
 
 def count_table(parts: DataFrame) -> np.ndarray:
@@ -152,8 +155,8 @@ def count_table(parts: DataFrame) -> np.ndarray:
 
 
 def prefix_index(docs: DataFrame, shared, parts: int) -> DataFrame:
-    """(part, grams, rows, ids, sizes): prefix shingles by part, each with its row in the lists of ids and set sizes and
-    whether it is of the short prefix, as row * 2 + flag. A set that a task has had already is left out."""
+    """(part, grams, rows, places, ids, sizes): prefix shingles by part, each with its row in the lists of ids and set
+    sizes and its place in the ordered set. A set that a task has had already is left out."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -166,8 +169,7 @@ def prefix_index(docs: DataFrame, shared, parts: int) -> DataFrame:
             flat = np.concatenate(grams)
             held_by = np.array([len(g) for g in grams])
             rows = np.repeat(np.arange(len(ids)), held_by)
-            place = np.arange(len(flat)) - np.repeat(np.cumsum(held_by) - held_by, held_by)
-            short = place < np.repeat(short_size(np.array(sizes)), held_by)
+            place = (np.arange(len(flat)) - np.repeat(np.cumsum(held_by) - held_by, held_by)).astype(np.uint32)
             count = cells[(flat >> np.uint64(64 - CELL_BITS)).astype(np.int64)].astype(np.int64)
             part = (flat % np.uint64(parts)).astype(np.int64) + parts * (salt % (count // HOT + 1))
             by = np.argsort(part, kind="stable")
@@ -175,8 +177,8 @@ def prefix_index(docs: DataFrame, shared, parts: int) -> DataFrame:
             out = []
             for p, at in zip(names.tolist(), np.split(by, begin[1:])):
                 used, row = np.unique(rows[at], return_inverse=True)
-                out.append((p, flat[at].tobytes(), (row * 2 + short[at]).astype(np.uint32).tobytes(), np.array(ids, dtype=np.int64)[used].tobytes(), np.array(sizes, dtype=np.uint32)[used].tobytes()))
-            return pa.RecordBatch.from_arrays([pa.array([x[0] for x in out], pa.int64()), *(pa.array([x[i] for x in out], pa.binary()) for i in range(1, 5))], ["part", "grams", "rows", "ids", "sizes"])
+                out.append((p, flat[at].tobytes(), row.astype(np.uint32).tobytes(), place[at].tobytes(), np.array(ids, dtype=np.int64)[used].tobytes(), np.array(sizes, dtype=np.uint32)[used].tobytes()))
+            return pa.RecordBatch.from_arrays([pa.array([x[0] for x in out], pa.int64()), *(pa.array([x[i] for x in out], pa.binary()) for i in range(1, 6))], ["part", "grams", "rows", "places", "ids", "sizes"])
 
         for batch, texts in text_batches(batches):
             for key, full in zip(batch.column(0).to_pylist(), shingle_sets(texts, WORDS)):
@@ -193,27 +195,35 @@ def prefix_index(docs: DataFrame, shared, parts: int) -> DataFrame:
         if grams:
             yield flush()
 
-    return docs.mapInArrow(run, "part long, grams binary, rows binary, ids binary, sizes binary")
+    return docs.mapInArrow(lean(run), "part long, grams binary, rows binary, places binary, ids binary, sizes binary")
 
 
-HITS = "gram long, a long, b long, na long, nb long, shared long, short boolean"
+HITS = "gram long, a long, b long, na long, nb long, shared long, short boolean, at long, deal long"
 
 
 def meet(index: DataFrame, shared) -> DataFrame:
-    """From each part: pairs (gram null) with the number of shared prefix shingles, and members (gram, a, short) of stars."""
+    """From each part: pairs (gram null) with the number of shared prefix shingles, and members (gram, a, short, at, deal)
+    of stars, with the shingle's place in the set and the deal of the star that the member is in."""
 
     def run(frame: pd.DataFrame) -> pd.DataFrame:
-        cells = shared.value
-        ids, sizes, grams, rows, base = [], [], [], [], 0
+        out = joined(frame)
+        tidy()
+        return out
+
+    def joined(frame: pd.DataFrame) -> pd.DataFrame:
+        cells, part = shared.value, int(frame["part"].iloc[0])
+        ids, sizes, grams, rows, places, base = [], [], [], [], [], 0
         for r in frame.itertuples(index=False):
             ids.append(np.frombuffer(r.ids, dtype=np.int64))
             sizes.append(np.frombuffer(r.sizes, dtype=np.uint32))
             grams.append(np.frombuffer(r.grams, dtype=np.uint64))
-            rows.append(np.frombuffer(r.rows, dtype=np.uint32).astype(np.int64) + 2 * base)
+            rows.append(np.frombuffer(r.rows, dtype=np.uint32).astype(np.int64) + base)
+            places.append(np.frombuffer(r.places, dtype=np.uint32))
             base += len(ids[-1])
-        key, size, gram, row = np.concatenate(ids), np.concatenate(sizes).astype(np.int64), np.concatenate(grams), np.concatenate(rows)
+        key, size, gram, row, place = np.concatenate(ids), np.concatenate(sizes).astype(np.int64), np.concatenate(grams), np.concatenate(rows), np.concatenate(places).astype(np.int64)
         by = np.argsort(gram, kind="stable")
-        gram, row, short = gram[by], row[by] >> 1, (row[by] & 1).astype(bool)
+        gram, row, place = gram[by], row[by], place[by]
+        short = place < short_size(size[row])
         begin = np.flatnonzero(np.concatenate(([True], gram[1:] != gram[:-1])))
         length = np.diff(np.append(begin, len(gram)))
         hot = cells[(gram[begin] >> np.uint64(64 - CELL_BITS)).astype(np.int64)] >= HOT
@@ -234,12 +244,13 @@ def meet(index: DataFrame, shared) -> DataFrame:
             times = np.bincount(back, weights=np.concatenate(found["times"])).astype(np.int64)
             a, b = pair // len(key), pair % len(key)
             a, b = np.where(key[a] <= key[b], a, b), np.where(key[a] <= key[b], b, a)
-            out.append(pd.DataFrame({"gram": pd.array([pd.NA] * len(a), dtype="Int64"), "a": key[a], "b": key[b], "na": size[a], "nb": size[b], "shared": times, "short": True}))
+            out.append(pd.DataFrame({"gram": pd.array([pd.NA] * len(a), dtype="Int64"), "a": key[a], "b": key[b], "na": size[a], "nb": size[b], "shared": times, "short": True, "at": 0, "deal": 0}))
         many = np.flatnonzero((length > FEW) | hot)
         if len(many):
             at = np.repeat(begin[many] - np.concatenate(([0], np.cumsum(length[many])[:-1])), length[many]) + np.arange(length[many].sum())
             g, r = gram[at], row[at]
-            out.append(pd.DataFrame({"gram": pd.array(g.view(np.int64), dtype="Int64"), "a": key[r], "b": key[r], "na": size[r], "nb": size[r], "shared": 1, "short": short[at]}))
+            nth = np.arange(len(at)) - np.repeat(np.cumsum(length[many]) - length[many], length[many])
+            out.append(pd.DataFrame({"gram": pd.array(g.view(np.int64), dtype="Int64"), "a": key[r], "b": key[r], "na": size[r], "nb": size[r], "shared": 1, "short": short[at], "at": place[at], "deal": (part << 24) + nth // DEAL}))
         return pd.concat(out) if out else pd.DataFrame({c.split()[0]: pd.array([], dtype="boolean" if "bool" in c else "Int64") for c in HITS.split(", ")})
 
     return materialise(index.groupBy("part").applyInPandas(run, HITS), "hits")
@@ -259,9 +270,15 @@ def shared_needed(na: Column, nb: Column) -> Column:
     return F.greatest(F.lit(1), overlap_needed(na, nb) - F.greatest(rest(na), rest(nb)))
 
 
+def can_reach(na: Column, pa_: Column, nb: Column, pb: Column) -> Column:
+    """Whether two sets that share a shingle at places pa_ and pb of the global order can overlap enough: by no more than
+    the shorter part before it, the shingle, and the shorter part behind it."""
+    return F.least(pa_, pb) + 1 + F.least(na - pa_ - 1, nb - pb - 1) >= overlap_needed(na, nb)
+
+
 def enough(pairs: DataFrame, sieve: np.ndarray) -> DataFrame:
     """Pairs that may share enough: by their count alone, unless both are in the sieve of sets with star shingles."""
-    shared = pairs.sparkSession.sparkContext.broadcast(sieve)
+    shared = send(pairs.sparkSession, sieve)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -269,7 +286,7 @@ def enough(pairs: DataFrame, sieve: np.ndarray) -> DataFrame:
             need = needed(na, nb) - np.maximum(-(-3 * na // 4), -(-3 * nb // 4)) + 1
             yield batch.filter(pa.array((c >= need) | (passes(shared.value, a) & passes(shared.value, b))))
 
-    return pairs.mapInArrow(run, "a long, b long, na long, nb long, shared long")
+    return pairs.mapInArrow(lean(run), "a long, b long, na long, nb long, shared long")
 
 
 def verify(docs: DataFrame, pairs: DataFrame, shared) -> DataFrame:
@@ -278,7 +295,7 @@ def verify(docs: DataFrame, pairs: DataFrame, shared) -> DataFrame:
     hubs = pairs.groupBy("a").agg((F.ceil(F.count("*") / PARTNERS)).alias("deals"))
     dealt = pairs.join(hubs, "a").withColumn("deal", F.pmod(F.xxhash64("b"), "deals"))
     wanted = dealt.select("a", "deal", F.col("b").alias("doc_id")).unionByName(hubs.select("a", F.explode(F.sequence(F.lit(0), F.col("deals") - 1)).alias("deal"), F.col("a").alias("doc_id")))
-    sieve = docs.sparkSession.sparkContext.broadcast(sieve_of(wanted.select("doc_id").distinct()))
+    sieve = send(docs.sparkSession, sieve_of(wanted.select("doc_id").distinct()))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, texts in text_batches(batches):
@@ -288,7 +305,7 @@ def verify(docs: DataFrame, pairs: DataFrame, shared) -> DataFrame:
             prints = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets]
             yield pa.RecordBatch.from_arrays([pa.array([keys[i] for i in hit], pa.int64()), pa.array(prints, pa.binary()), pa.array([order(s, shared.value).tobytes() for s in sets], pa.binary())], ["doc_id", "print", "grams"])
 
-    sets = docs.mapInArrow(run, "doc_id long, print binary, grams binary").dropDuplicates(["doc_id", "print"]).drop("print")
+    sets = docs.mapInArrow(lean(run), "doc_id long, print binary, grams binary").dropDuplicates(["doc_id", "print"]).drop("print")
 
     def join(frame: pd.DataFrame) -> pd.DataFrame:
         hub = frame["a"].iloc[0]
@@ -297,7 +314,10 @@ def verify(docs: DataFrame, pairs: DataFrame, shared) -> DataFrame:
         got = sorted({k for own, probe in members if own == hub for k, _ in others.join(probe)})
         return pd.DataFrame({"a": [hub] * len(got), "b": got}, dtype="int64")
 
-    return materialise(wanted.join(sets, "doc_id").groupBy("a", "deal").applyInPandas(join, "a long, b long"), "links")
+    out = materialise(wanted.join(sets, "doc_id").groupBy("a", "deal").applyInPandas(join, "a long, b long"), "links")
+    sieve.unpersist()
+    discard(pairs)
+    return out
 
 
 def link(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -306,7 +326,7 @@ def link(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     spark = docs.sparkSession
     both = shingled(docs)
     sets = both.where("kind = 0").select("doc_id", "n", "print")
-    shared = spark.sparkContext.broadcast(count_table(both.where("kind = 1")))
+    shared = send(spark, count_table(both.where("kind = 1")))
     classes = materialise(sets.where("n > 0 AND doc_id IS NOT NULL").groupBy("print").agg(F.min("doc_id").alias("rep")), "classes")
     members = sets.where("doc_id IS NOT NULL").join(classes, "print", "left").select("doc_id", "n", F.coalesce("rep", "doc_id").alias("rep"))
     total = sets.agg(F.sum(F.col("n") / 4 + 1)).first()[0] or 0
@@ -329,24 +349,31 @@ def link(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     few = few.where(F.col("shared") + F.least(F.coalesce("ha", F.lit(0)), F.coalesce("hb", F.lit(0))) >= shared_needed(F.col("na"), F.col("nb")))
     few = of_reps(few).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), "shared").groupBy("a", "b").agg(F.max("shared").alias("shared"))
     # a star needs a member that has the shingle in its short prefix
-    stars = hits.where("gram IS NOT NULL").select("gram", F.col("a").alias("doc_id"), F.col("na").alias("n"), "short").join(reps, "doc_id").groupBy("gram", F.col("rep").alias("doc_id"), "n").agg(F.max("short").alias("short"))
+    stars = hits.where("gram IS NOT NULL").select("gram", F.col("a").alias("doc_id"), F.col("na").alias("n"), "short", "at", "deal").join(reps, "doc_id")
+    stars = stars.groupBy("gram", F.col("rep").alias("doc_id"), "n", "at").agg(F.max("short").alias("short"), F.min("deal").alias("deal"))
     live = hits.where("gram IS NOT NULL AND short").select("gram").distinct()
-    stars = materialise(stars.join(live, "gram", "left_semi"), "stars")
-    centres = stars.groupBy("gram").agg(F.min(F.struct("doc_id", "n")).alias("c")).select("gram", F.col("c.doc_id").alias("centre"), F.col("c.n").alias("nc"))
-    rays = stars.join(centres, "gram").where((F.col("doc_id") != F.col("centre")) & long_enough(F.col("n"), F.col("nc"))).select(F.col("centre").alias("a"), F.col("doc_id").alias("b"))
+    deals = materialise(hits.where("gram IS NOT NULL").select("gram", "deal").distinct().join(live, "gram", "left_semi"), "deals")
+    stars = materialise(stars.join(deals, ["gram", "deal"], "left_semi"), "stars")
+    centres = materialise(stars.groupBy("gram").agg(F.min(F.struct("doc_id", "n", "at")).alias("c")).select("gram", F.col("c.doc_id").alias("centre"), F.col("c.n").alias("nc"), F.col("c.at").alias("pc")), "centres")
+    rays = stars.join(centres.join(deals, "gram"), ["gram", "deal"]).where((F.col("doc_id") != F.col("centre")) & long_enough(F.col("n"), F.col("nc")) & can_reach(F.col("n"), F.col("at"), F.col("nc"), F.col("pc")))
+    rays = rays.select(F.col("centre").alias("a"), F.col("doc_id").alias("b"))
     links = verify(docs, few.select("a", "b").unionByName(rays).distinct(), shared).unionByName(same)
     found = components(links)
     # members of a star outside its centre's component meet the others there
     placed = stars.join(found.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
-    middle = placed.join(centres.select("gram", F.col("centre").alias("doc_id")), ["gram", "doc_id"]).select("gram", F.col("component").alias("main"))
-    away = placed.join(middle, "gram").where("component <> main").select("gram", F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("short").alias("sa"), F.col("component").alias("ca"))
-    rest = placed.select("gram", F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("short").alias("sb"), F.col("component").alias("cb"))
+    main = centres.select("gram", F.col("centre").alias("node")).join(found, "node", "left").select("gram", F.coalesce("component", "node").alias("main"))
+    away = placed.join(main.join(deals, "gram"), ["gram", "deal"]).where("component <> main")
+    away = away.select("gram", F.col("doc_id").alias("a"), F.col("n").alias("na"), F.col("at").alias("pa"), F.col("short").alias("sa"), F.col("component").alias("ca")).join(deals, "gram")
+    rest = placed.select("gram", "deal", F.col("doc_id").alias("b"), F.col("n").alias("nb"), F.col("at").alias("pb"), F.col("short").alias("sb"), F.col("component").alias("cb"))
     smaller_short = (F.col("sa") | (F.col("na") > F.col("nb"))) & (F.col("sb") | (F.col("nb") > F.col("na")))
-    again = away.join(rest, "gram").where((F.col("ca") != F.col("cb")) & smaller_short & long_enough(F.col("na"), F.col("nb")))
+    bounds = smaller_short & long_enough(F.col("na"), F.col("nb")) & can_reach(F.col("na"), F.col("pa"), F.col("nb"), F.col("pb"))
+    again = away.join(rest, ["gram", "deal"]).where((F.col("ca") != F.col("cb")) & bounds)
     again = again.select(F.least("a", "b").alias("x"), F.greatest("a", "b").alias("y")).distinct()
     more = materialise(again.select(F.col("x").alias("a"), F.col("y").alias("b")), "again")
     if not more.isEmpty():
         found = components(links.unionByName(verify(docs, more, shared)))
+    shared.unpersist()
+    discard(hits, deals, stars, centres, held, more)
     named = members.join(found.withColumnRenamed("node", "rep"), "rep", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "rep").alias("component_id"))
     return named.unionByName(sets.where("doc_id IS NULL").select("doc_id", F.col("n").alias("n_shingles"), F.lit(None).cast("long").alias("component_id")))
 
