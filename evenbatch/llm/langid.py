@@ -6,7 +6,8 @@ ending there counts, at a penalty a step. A text's score for a language is the s
 
 Words are runs of letters, lower-cased. Text without a letter, and null, is `und` with score 0, as is every text if
 nothing was there to learn from. Of equal languages the first by name is taken. Training reads at most about
-TRAIN_DOCS labelled rows, chosen by a hash of their key and text; prediction reads text only.
+TRAIN_DOCS labelled rows, as many of each language where there are enough, chosen by a hash of their key and text;
+prediction reads text only. Rows that repeat are predicted each.
 """
 
 from __future__ import annotations
@@ -21,7 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .textkernel import text_batches
+from .storage import send
+from .textkernel import lean, text_batches
 
 #: Bounds of what is learned: labelled rows read, words and n-grams of each length kept of a language.
 TRAIN_DOCS = 20_000
@@ -30,8 +32,8 @@ KEEP_GRAMS = 6_000
 LONGEST = 4
 BACKOFF = math.log(0.4)
 UNKNOWN = "und"
-#: Remembered words of a Python worker at most.
-MEMORY_WORDS = 400_000
+#: Remembered words of a Python worker at most, some 150 bytes each.
+MEMORY_WORDS = 200_000
 
 WORD = re.compile(r"[^\W\d_]+")
 
@@ -108,12 +110,24 @@ class Model:
         return self.languages[best], float(1 / np.exp(np.minimum(score - score[best], 0)).sum())
 
 
+def shares(there: dict[str, int], budget: int) -> dict[str, float]:
+    """The share of each language's rows that is learned from: the budget is dealt evenly, and what languages with few
+    rows leave of it goes to the others, so that a rare one is learned from whole."""
+    out, left = {}, len(there)
+    for lang, n in sorted(there.items(), key=lambda x: (x[1], x[0])):
+        taken = min(n, budget // left)
+        out[lang], budget, left = taken / n, budget - taken, left - 1
+    return out
+
+
 def learn(labelled: DataFrame, key: str = "doc_id", text: str = "text", label: str = "lang") -> Model:
     """A model from rows with text and label."""
     rows = labelled.select(F.col(key).alias("key"), F.col(text).alias("text"), F.col(label).alias("lang")).where("text IS NOT NULL AND lang IS NOT NULL")
-    there = labelled.where(F.col(label).isNotNull()).select(label).count()
-    if there > TRAIN_DOCS:
-        rows = rows.where(F.pmod(F.xxhash64("key"), F.lit(1 << 20)) < F.lit(TRAIN_DOCS * (1 << 20) // there))
+    there = {r["lang"]: r["count"] for r in rows.groupBy("lang").count().collect()}  # one row a language
+    part = shares(there, TRAIN_DOCS)
+    if any(x < 1 for x in part.values()):
+        limit = F.create_map(*[F.lit(x) for lang, share in part.items() for x in (lang, int(share * (1 << 30)))])
+        rows = rows.where(F.pmod(F.xxhash64("key", "text"), F.lit(1 << 30)) < F.element_at(limit, F.col("lang")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words: dict[str, Counter] = defaultdict(Counter)
@@ -128,7 +142,7 @@ def learn(labelled: DataFrame, key: str = "doc_id", text: str = "text", label: s
             for n, counter in enumerate([seen, *grams[1:]]):
                 yield pa.RecordBatch.from_arrays([pa.array([lang] * len(counter), pa.string()), pa.array([n] * len(counter), pa.int32()), pa.array(list(counter), pa.string()), pa.array(list(counter.values()), pa.int64())], ["lang", "n", "gram", "seen"])
 
-    counted = rows.select("text", "lang").mapInArrow(run, "lang string, n int, gram string, seen long").groupBy("lang", "n", "gram").agg(F.sum("seen").alias("seen"))
+    counted = rows.select("text", "lang").mapInArrow(lean(run), "lang string, n int, gram string, seen long").groupBy("lang", "n", "gram").agg(F.sum("seen").alias("seen"))
     place = F.row_number().over(Window.partitionBy("lang", "n").orderBy(F.desc("seen"), "gram"))
     kept = counted.withColumn("place", place).where(F.col("place") <= F.when(F.col("n") == 0, KEEP_WORDS).otherwise(KEEP_GRAMS))
     return Model([(r["lang"], r["n"], r["gram"], r["seen"]) for r in kept.select("lang", "n", "gram", "seen").toLocalIterator()])
@@ -140,22 +154,22 @@ def held_out(key: str = "doc_id"):
 
 def predict(docs: DataFrame, model: Model, key: str = "doc_id", text: str = "text") -> DataFrame:
     """key, held_out, lang_pred, score of every row."""
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    shared = send(docs.sparkSession, model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, texts in text_batches(batches):
             got = [shared.value.predict(t.decode() if t else None) for t in texts]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([g[0] for g in got], pa.string()), pa.array([g[1] for g in got], pa.float64())], [key, "held_out", "lang_pred", "score"])
 
-    return docs.select(key, held_out(key).alias("held_out"), F.col(text).alias("text")).mapInArrow(run, f"{key} {dict(docs.dtypes)[key]}, held_out boolean, lang_pred string, score double")
+    return docs.select(key, held_out(key).alias("held_out"), F.col(text).alias("text")).mapInArrow(lean(run), f"{key} {dict(docs.dtypes)[key]}, held_out boolean, lang_pred string, score double")
 
 
 def keep_identified(docs: DataFrame, model: Model) -> DataFrame:
     """The rows of docs, with all their columns, that are in some learned language."""
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    shared = send(docs.sparkSession, model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, texts in text_batches(batches):
             yield batch.filter(pa.array([shared.value.predict(t.decode() if t else None)[0] != UNKNOWN for t in texts], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(lean(run), docs.schema)

@@ -1,3 +1,9 @@
+import math
+import re
+from collections import Counter
+
+import pytest
+
 from evenbatch.llm import langid
 from evenbatch.llm.queries import op2_language_id
 
@@ -39,3 +45,45 @@ def test_nothing_to_learn_from(spark):
 def test_long_words_count_whole():
     model = langid.Model([("en", 0, "the", 9), ("fr", 0, "le", 9), *((lang, 1, c, 50) for lang, c in (("en", "w"), ("fr", "q")))])
     assert model.predict("w" * 70 + "q" * 400)[0] == "fr" and model.predict("q" * 70 + "w" * 400)[0] == "en"
+
+
+def test_rare_languages_are_learned_from_whole():
+    got = langid.shares({"a": 1_000_000, "b": 300, "c": 50_000, "d": 1}, 20_000)
+    assert got["b"] == got["d"] == 1 and abs(got["a"] * 1_000_000 - got["c"] * 50_000) <= 1
+    assert sum(got[k] * n for k, n in {"a": 1_000_000, "b": 300, "c": 50_000, "d": 1}.items()) <= 20_000
+    assert langid.shares({"a": 5}, 20_000) == {"a": 1} and langid.shares({}, 5) == {}
+
+
+def test_scores_against_plain_dictionaries(spark):
+    """Every word's score by dictionaries of counts, without the vector table and its memory."""
+    rows = [(i, t, lang) for i, (t, lang) in enumerate([("the cat sat on the mat", "en"), ("the dog and the cat", "en"), ("le chat est sur le tapis", "fr"), ("le chien et le chat", "fr"), ("der hund und die katze", "de")] * 3)]
+    model = langid.learn(spark.createDataFrame(rows, "doc_id long, text string, lang string"))
+    counts = {}
+    for _, t, lang in rows:
+        for w in t.split():
+            counts.setdefault((lang, 0), Counter())[w] += 1
+            m = f"<{w}>"
+            for n in range(1, 5):
+                counts.setdefault((lang, n), Counter()).update(m[i : i + n] for i in range(len(m) - n + 1))
+    langs = ["de", "en", "fr"]
+
+    def log(n, g, lang):
+        known = {x for k in langs for x in counts[k, n]}
+        return math.log((counts[lang, n][g] + 0.5) / (sum(counts[lang, n].values()) + 0.5 * (len(known) + 1))) if g in known else None
+
+    def word(w, lang):
+        if (x := log(0, w, lang)) is not None:
+            return x
+        m, total = f"<{w}>", 0.0
+        for end in range(2, len(m) + 1):
+            for n in range(min(4, end), 0, -1):
+                if (x := log(n, m[end - n : end], lang)) is not None:
+                    total += x + math.log(0.4) * (4 - n)
+                    break
+        return total / (len(m) - 1) * min(2.0, (len(m) - 1) / 3)
+
+    for text in ("the mat", "le tapis rouge", "die katzen und hunde", "zzz", "The CAT, et le chien!"):
+        want = [sum(word(w, lang) for w in re.findall("[a-z]+", text.lower())) for lang in langs]
+        best = max(range(3), key=lambda i: want[i])
+        said, score = model.predict(text)
+        assert said == langs[best] and score == pytest.approx(1 / sum(math.exp(x - want[best]) for x in want))
