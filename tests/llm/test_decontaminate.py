@@ -26,9 +26,9 @@ def brute(text, items):
     return len(w), len(hit), len(found), hashlib.sha256(",".join(sorted(found)).encode()).hexdigest(), bool(hit)
 
 
-@pytest.mark.parametrize("block", [60, 10**9])
-def test_against_brute_force(spark, monkeypatch, block):
-    monkeypatch.setattr(decontaminate, "BLOCK_BYTES", block)
+@pytest.mark.parametrize("small", [0, 10**9])
+def test_against_brute_force(spark, monkeypatch, small):
+    monkeypatch.setattr(decontaminate, "BROADCAST_WINDOWS", small)
     rng = random.Random(7)
     said = lambda n: " ".join(rng.choice(["a", "B", "é", "word", "10", "longerword"]) for _ in range(n))
     items = [(i, said(rng.choice([1, 2, 4, 6, 10, 13]))) for i in range(14)] + [(None, "null item here"), (20, None), (21, " . "), (3, "again"), (22, "a b é word"), (23, "a b é word")]
