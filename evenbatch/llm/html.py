@@ -3,7 +3,8 @@
 Words score positive and tags negative, with weights learned from pages whose content element is marked; one
 linear scan finds the best region. Elements that are never article text (menus, sidebars, notices, adverts, forms,
 scripts, reader comments) are cut out first by name, role and class, and the region is then read block by block.
-A null or empty page has the empty text. Unclosed and crossed tags are handled as browsers do, roughly.
+A null or empty page has the empty text. Unclosed and crossed tags are handled as browsers do, roughly; time grows with
+the page and the depth of its elements, not with their product.
 """
 
 from __future__ import annotations
@@ -11,14 +12,17 @@ from __future__ import annotations
 import html as entities
 import math
 import re
+from collections import Counter
 from collections.abc import Iterable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Elements whose content is markup or machinery, taken as raw text up to their end tag.
+#: Elements whose content is markup or machinery, passed over up to their end tag.
 RAW = frozenset("script style noscript template svg math iframe object canvas audio video textarea xmp noembed noframes".split())
+#: Those of them that have no content where they close themselves or have no end tag, so that text behind them stays.
+EMBEDS = frozenset("svg math iframe object canvas audio video".split())
 #: Elements that are never part of an article.
 ASIDE = frozenset("nav header footer aside form menu dialog button select option datalist fieldset label input head title".split())
 ROLES = frozenset("navigation banner contentinfo complementary search form menu menubar dialog alertdialog alert note toolbar tablist".split())
@@ -27,7 +31,8 @@ HINTS = frozenset(
     "ad ads adv advert adverts advertisement advertising sponsor sponsored promo promotion banner nav navbar navigation menu menus breadcrumb breadcrumbs header masthead footer foot sidebar aside widget widgets related recommended "
     "share sharing social cookie cookies consent gdpr notice notices alert popup modal overlay newsletter subscribe subscription signup login comment comments commentlist reply replies respond disqus pagination pager toolbar skip".split()
 )
-#: Those of them that count on an article element too, which may hold a reader's comment or a teaser.
+#: Those of them that count as a part of a value inside an article too, and as a whole value on the article itself,
+#: which may hold a reader's comment or a teaser.
 REPLIES = frozenset("comment comments commentlist reply replies respond disqus advert advertisement sponsored promo related recommended".split())
 #: Elements that begin and end a block of text.
 BLOCKS = frozenset(
@@ -50,8 +55,9 @@ WORDS_OF = re.compile(r"[a-z]+")
 DEFAULT_WEIGHTS = {"word": 1.0, "tag": -1.0, "link": -4.0, "edge": -2.0}
 
 
-def named_aside(name: str, raw: str) -> bool:
-    """Whether an opening tag begins something that is not the article."""
+def named_aside(name: str, raw: str, inside: bool = False) -> bool:
+    """Whether an opening tag begins something that is not the article. Inside a marked article a value must be a hint
+    as a whole: `header-note` may well be text there, `share` is not."""
     if name in ASIDE:
         return True
     if "=" not in raw and "hidden" not in raw:
@@ -63,20 +69,27 @@ def named_aside(name: str, raw: str) -> bool:
         return True
     if name in ("body", "html", "main"):
         return False
-    hints = WORDS_OF.findall(re.sub(r"([a-z])([A-Z])", r"\1 \2", f"{attributes.get('class', '')} {attributes.get('id', '')}").lower())
-    return not (REPLIES if name == "article" else HINTS).isdisjoint(hints)
+    values = f"{attributes.get('class', '')} {attributes.get('id', '')}"
+    whole = values.lower().split()
+    if name == "article":
+        return not REPLIES.isdisjoint(whole)
+    parts = WORDS_OF.findall(re.sub(r"([a-z])([A-Z])", r"\1 \2", values).lower())
+    return not ((REPLIES if inside else HINTS).isdisjoint(parts) and HINTS.isdisjoint(whole))
 
 
 class Page:
     """Tokens of a page: (kind, value, excluded, in_link, in_content, element). kind: text, block, break or inline."""
 
-    __slots__ = ("tokens", "content", "parents", "names")
+    __slots__ = ("tokens", "content", "parents", "names", "prose", "spans")
 
     def __init__(self, source: str):
         self.tokens: list[tuple[str, str, bool, bool, bool, int]] = []
         self.content = False
-        self.parents, self.names, ids = [-1], ["#root"], [0]
+        #: of each element: its parent, its name, whether it is in a block of prose, and its first token and the one behind its last
+        self.parents, self.names, self.prose, self.spans, ids = [-1], ["#root"], [False], [[0, 0]], [0]
         stack: list[tuple[str, bool]] = []  # open elements, and whether each begins an excluded part
+        opened: Counter[str] = Counter()  # their names, so that an end tag of none of them costs nothing
+        endless: set[str] = set()  # raw elements without an end tag from here on
         shut = links = inside = 0
         at, end = 0, len(source)
 
@@ -84,11 +97,17 @@ class Page:
             nonlocal shut, links, inside
             while len(stack) > upto:
                 name, out = stack.pop()
-                ids.pop()
+                self.spans[ids.pop()][1] = len(self.tokens)
+                opened[name] -= 1
                 shut -= out
                 links -= name == "a"
                 inside -= name in CONTENT
 
+        def innermost(names: set[str] | frozenset[str]) -> int | None:
+            if not any(opened[x] for x in names):
+                return None
+            return next(i for i in range(len(stack) - 1, -1, -1) if stack[i][0] in names)
+
         while at < end:
             m = TOKEN.search(source, at)
             stop = m.start() if m else end
@@ -101,35 +120,46 @@ class Page:
                 if m[0].startswith("<![CDATA["):
                     self.tokens.append(("text", m[0][9:].removesuffix("]]>"), shut > 0, links > 0, inside > 0, ids[-1]))
                 continue
-            name, closing = m[2].lower(), bool(m[1])
+            name, closing, empty = m[2].lower(), bool(m[1]), m[3].endswith("/")
             if closing:
-                depth = next((i for i in range(len(stack) - 1, -1, -1) if stack[i][0] == name), None)
+                depth = innermost({name})
                 # an end tag inside an excluded part only reaches across its edge if it closes the part's parent, as browsers have it
                 if depth is not None:
                     leave(depth)
             elif name in RAW:
-                close = re.compile(rf"</{name}\b[^>]*(?:>|\Z)", re.I).search(source, at)
-                at = close.end() if close else end
+                if not (empty and name in EMBEDS):
+                    close = None if name in endless else re.compile(rf"</{name}\b[^>]*(?:>|\Z)", re.I).search(source, at)
+                    if close:
+                        at = close.end()
+                    elif name in EMBEDS:
+                        endless.add(name)
+                    else:
+                        at = end
             else:
                 if name in BLOCKS and stack and stack[-1][0] == "p":
                     leave(len(stack) - 1)
                 if group := CLOSES.get(name):
-                    depth = next((i for i in range(len(stack) - 1, -1, -1) if stack[i][0] in group | {"ul", "ol", "dl", "table", "select"}), None)
+                    depth = innermost(group | {"ul", "ol", "dl", "table", "select"})
                     if depth is not None and stack[depth][0] in group:
                         leave(depth)
-                if name not in VOID and not m[3].endswith("/"):
-                    out = named_aside(name, m[3])
-                    if out and name == "header" and any(x in CONTENT for x, _ in stack):
-                        out = False if not shut else out
+                if name not in VOID and not empty:
+                    out = named_aside(name, m[3], inside > 0)
+                    if out and name == "header" and inside:
+                        out = shut > 0
                     stack.append((name, out))
+                    opened[name] += 1
+                    self.prose.append(name in PROSE or self.prose[ids[-1]])
                     self.parents.append(ids[-1])
                     self.names.append(name)
+                    self.spans.append([len(self.tokens), 0])
                     ids.append(len(self.names) - 1)
                     shut += out
                     links += name == "a"
                     inside += name in CONTENT
                     self.content |= name in CONTENT and not shut
             self.tokens.append(("block" if name in BLOCKS else "break" if name == "br" else "inline", name, shut > 0, links > 0, inside > 0, ids[-1]))
+        leave(0)
+        self.spans[0][1] = len(self.tokens)
 
     def scores(self, weights: dict[str, float]) -> list[float]:
         out = []
@@ -140,7 +170,8 @@ class Page:
             if excluded:
                 out.append(edge + (weights["tag"] if kind != "text" else 0.0))
             elif kind == "text":
-                out.append(len(value.split()) * (weights["link"] if link else weights["word"] * (1 + inside)))
+                # words of a marked article count twice, and its links as words
+                out.append(len(value.split()) * (weights["link"] if link and not inside else weights["word"] * (1 + (inside and not link))))
             else:
                 out.append(weights["tag"])
         return out
@@ -174,14 +205,14 @@ class Page:
         while self.names[common] not in FRAMES and self.parents[common] > 0:
             common = self.parents[common]
         if self.names[common] not in ("body", "html", "#root"):
-            own = [i for i, t in enumerate(self.tokens) if common in self.path(t[5])]
-            return min(a, own[0]), max(b, own[-1] + 1)
+            first, behind = self.spans[common]
+            return min(a, first), max(b, behind)
 
         def plain(i: int) -> bool:
             kind, value, excluded, link, _, element = self.tokens[i]
             if kind != "text" or not value.strip() or excluded:
                 return True
-            return not link and any(self.names[x] in PROSE for x in self.path(element))
+            return not link and self.prose[element]
 
         while a and plain(a - 1):
             a -= 1

@@ -1,6 +1,9 @@
+import random
+import time
+
 import pytest
 
-from evenbatch.llm.html import DEFAULT_WEIGHTS, extract, extract_pages, learn_weights
+from evenbatch.llm.html import DEFAULT_WEIGHTS, Page, extract, extract_pages, learn_weights
 
 CASES = [
     (None, ""),
@@ -10,6 +13,13 @@ CASES = [
     ("<body><div class='menu'>x</div><div id=main><h1>Head</h1><p>" + "w " * 30 + "</p><div class='ad'>buy</div><p>end</p></div><div class='comments'>nice</div></body>", "Head\n" + "w " * 29 + "w\nend"),
     ("<article><p>a</p><aside>x</aside><form><input>y</form><p>b</p><section class='comments'><p>me</p></section></article>", "a\nb"),
     ("<main><ul><li>one<li>two</ul><table><tr><td>c<td>d</table></main>", "one\ntwo\nc\nd"),
+    ("<article><p>a</p><svg/><p>b c d</p></article>", "a\nb c d"),
+    ("<article><p>a b c<svg width=1 /> d e</p><p>f</p></article>", "a b c d e\nf"),
+    ("<article><p>a b<iframe src=x> c</p><svg><text>no</text></svg><p>d</p></article>", "a b c\nd"),
+    ("<article><a href=x>only link</a></article>", "only link"),
+    ("<article><ul><li><a href=x>one</a><li><a href=y>two</a></ul></article>", "one\ntwo"),
+    ("<article><div class='header-note'><p>In text</p></div><p>and more</p><div class='share'>tell</div></article>", "In text\nand more"),
+    ("<article class='post related-2'><p>text stays</p><div class='comment-list'>me</div></article>", "text stays"),
     ("<article><p>x<span class='ad'>no</span> y</p><!-- z --><p hidden>h</p><p>1 &lt; 2 &#65;", "x y\n1 < 2 A"),
 ]
 
@@ -36,3 +46,22 @@ def test_the_run_reaches_beyond_a_mark_that_holds_only_the_heading(mark):
     body = " ".join(f"w{i}" for i in range(60))
     page = f"<body><nav>menu</nav><{mark}><h1>Head line</h1></{mark}><div><p>{body}</p><p>{body}</p></div><footer>foot</footer></body>"
     assert extract(page) == f"Head line\n{body}\n{body}"
+
+
+def test_the_region_is_the_best_of_all_intervals():
+    rng = random.Random(3)
+    parts = ["<p>", "</p>", "<b>", "</b>", "one two", "w " * 9, "<a href=x>l m</a>", "<nav>n n</nav>", "<article>", "</article>", "<br>", "<div class='ad'>x</div>", "<div>", "</div>"]
+    for _ in range(300):
+        page = Page("".join(rng.choices(parts, k=rng.randint(1, 25))))
+        scores = page.scores(DEFAULT_WEIGHTS)
+        best = max([sum(scores[i:j]) for i in range(len(scores)) for j in range(i + 1, len(scores) + 1)], default=0.0)
+        a, b = page.region(DEFAULT_WEIGHTS)
+        assert sum(scores[a:b]) == pytest.approx(max(best, 0.0))
+
+
+@pytest.mark.parametrize("part", ["<p>w w w <b>", "<div>w</x>", "<b><li>w", "<svg>w ", "<header>w</header><i>"])
+def test_long_pages_of_unclosed_tags_take_time_in_proportion(part):
+    page = "<body>" + part * (100_000 // len(part))
+    began = time.process_time()
+    extract(page)
+    assert time.process_time() - began < 3
