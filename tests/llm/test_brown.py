@@ -40,8 +40,7 @@ def test_probabilities_sum_to_one(spark):
     model, _ = brown.train(docs.select("text"), 2)
     assert np.allclose((10**model.transition).sum(1), 1)
     emitted = np.zeros(len(model.emission_total))
-    for s, c in zip(model.symbol, model.counts):
-        emitted[model.class_of[s]] += c + 0.5
+    np.add.at(emitted, model.kind, model.counts + 0.5)
     assert (emitted <= model.emission_total + 1e-9).all()
 
 
@@ -51,9 +50,46 @@ def test_exchange_separates_two_languages():
     for _ in range(4000):
         side = rng.integers(2) * 10
         table[side + rng.integers(10), side + rng.integers(10)] += 1
-    of = brown.exchange(table, 2, 10)
+    of = brown.exchange(table, 20, 2, 10)
     assert len(set(of[:10])) == 1 and len(set(of[10:])) == 1 and of[0] != of[10]
 
 
 def test_empty_table(spark):
     assert brown.score(spark.createDataFrame([], "doc_id long, text string")).count() == 0
+
+
+def test_no_more_words_are_kept_than_fit(spark, monkeypatch):
+    monkeypatch.setattr(brown, "KEEP", 300)
+    counts = np.concatenate((np.full(10, 5), np.full(400, 2), np.full(100, 1)))
+    row = (0, np.arange(len(counts), dtype=np.uint64).tobytes(), counts.astype(np.int64).tobytes(), bytes(len(counts)))
+    counted = spark.createDataFrame([tuple(bytearray(x) if isinstance(x, bytes) else x for x in row)], "part long, words binary, counts binary, shapes binary")
+    model = brown._table_of(counted, 3)
+    assert len(model.known) == 10 and model.train_tokens == 50 + 800 + 100 + 3 and model.vocabulary == 511
+
+
+def test_words_join_the_class_of_like_words():
+    """Two free classes; a word of the third class that stands where the first one's words stand joins them."""
+    table = np.array([[0.0, 90, 5], [90, 0, 5], [5, 5, 0]])
+    got = brown.better_classes(np.array([0, 0, 1, 1]), np.array([0, 1, 0, 1]), np.array([1, 1, 0, 0]), np.array([5, 5, 5, 5]), np.array([2, 2]), table, 2)
+    assert got.tolist() == [0, 1]
+
+
+def test_scores_against_a_plain_sum(spark, monkeypatch):
+    """The score column, token by token, from the trained tables; rare words come by the shuffle."""
+    monkeypatch.setattr(brown, "KEEP", 12)
+    rows = [(i, " ".join(f"w{(i * 7 + j * j) % (9 + i)}{',' if j % 4 == 0 else ''}" for j in range(i % 13))) for i in range(60)] + [(101, None), (102, "unseen wörter.")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    model, _ = brown.train(docs.where("crc32(cast(cast(doc_id as string) as binary)) % 5 <> 1").select("text"), 1)
+    counts = Counter(w for k, t in rows if zlib.crc32(str(k).encode()) % 5 != 1 for w in (t or "").split())
+    got = {r.doc_id: r.score for r in brown.score(docs).collect()}
+    for key, text in rows:
+        total, before = 0.0, model.classes - 1
+        for w in (text or "").split():
+            h = brown.Words([w.encode()]).hashes()[0]
+            known = np.flatnonzero(model.known == h)
+            shape = (0 if w[-1] == "." else 1 if w[-1] == "," else 2) + 3 * (not w.isascii())
+            c = model.kind[known[0]] if len(known) else model.free + shape
+            total += model.transition[before, c] + math.log10(counts[w] + 0.5) - math.log10(model.emission_total[c])
+            before = c
+        total += model.transition[before, model.classes - 1]
+        assert got[key] == pytest.approx(total, rel=1e-9)
