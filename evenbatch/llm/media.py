@@ -2,8 +2,9 @@
 
 A payload of 8-bit samples is cut where a rolling gear hash of its last 32 bytes has CUT_BITS zero bits. A medium is
 the ordered list of its chunks' digests. Chunks that occur once in the corpus lie beside their medium's list, in order;
-chunks that occur again lie in a store, once, which Spark joins fill and read. Reading back puts the listed chunks
-together, each checked against its digest, into the stored form: a header, then of each chunk length, digest, samples.
+chunks that occur again lie in a store, once, which Spark joins fill and read. What is stored of a chunk, at either place,
+is a record of length, digest and samples, and of a medium a header; the stored form of a medium is its header and the
+records of its chunks in order, as they are read. Each is checked against its digest, and gives the payload's samples.
 
 A null text is the empty payload; payloads are padded with zero bytes to a positive multiple of 64. Equal payloads are
 one medium. Rows that repeat an id are rows of their own.
@@ -23,12 +24,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .sieve import passes, sieve_of
-from .storage import scratch
-from .textkernel import mix, text_batches
+from .storage import scratch, send
+from .textkernel import lean, mix, text_batches
 
 BLOCK = 64
 LEAST, MOST, CUT_BITS = 256, 16_384, 10
-MAGIC = b"EBMEDIA1"
+MAGIC = b"EBMEDIA2"
+#: Header of a medium: magic, payload bytes, chunks. Head of a chunk's record: length, digest.
+HEADER, RECORD = "<8sQI", "<I32s"
 #: One value for each byte, from a rule.
 GEAR = (mix(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) & np.uint64(0xFFFFFFFF)).astype(np.uint32)
 
@@ -67,23 +70,48 @@ def feature_of(payload: bytes, n_chunks: int) -> str:
     return f"chunks={n_chunks};mean={x.mean():.4f};rms={np.sqrt((x * x).mean()):.4f};crossings={crossings};peak={int(np.abs(x).max())}"
 
 
-def read_back(parts: list[tuple[bytes, bytes]]) -> tuple[int, str, int, int, str, str]:
-    """payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, feature of listed (digest, samples)."""
-    for digest, samples in parts:
-        if hashlib.sha256(samples).digest() != digest:
+def record_of(digest: bytes, samples: bytes) -> bytes:
+    return struct.pack(RECORD, len(samples), digest) + samples
+
+
+def read_back(header: bytes, records: list[bytes]) -> tuple[int, str, int, int, str, str]:
+    """payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, feature of a medium as stored."""
+    parts = []
+    for record in records:
+        length, digest = struct.unpack_from(RECORD, record)
+        parts.append(record[struct.calcsize(RECORD) :])
+        if len(parts[-1]) != length or hashlib.sha256(parts[-1]).digest() != digest:
             raise ValueError("a stored chunk does not match its digest")
-    payload = b"".join(s for _, s in parts)
-    form = b"".join([MAGIC, struct.pack("<QI", len(payload), len(parts)), *(struct.pack("<I", len(s)) + d + s for d, s in parts)])
+    payload, form = b"".join(parts), b"".join([header, *records])
+    if struct.unpack(HEADER, header) != (MAGIC, len(payload), len(records)):
+        raise ValueError("a stored medium does not match its header")
     return len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-BLOCK:]), len(form), hashlib.sha256(form).hexdigest(), feature_of(payload, len(parts))
 
 
 VALUES = "payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
 ROWS = "kind int, key {}, n_bytes long, medium binary, recipe binary, samples binary, digest binary"
-ENTRY = "<32sI?"  # digest, length, whether the store has it
 
 
-def entries(recipe: bytes) -> list[tuple[bytes, int, bool]]:
-    return list(struct.iter_unpack(ENTRY, recipe))
+def entries(recipe: bytes) -> tuple[bytes, list[bytes | None]]:
+    """A medium's header, and the digest of each chunk that is in the store; None for one that lies beside the list."""
+    at, out = struct.calcsize(HEADER), []
+    while at < len(recipe):
+        out.append(recipe[at + 1 : at + 33] if recipe[at] else None)
+        at += 33 if recipe[at] else 1
+    return recipe[: struct.calcsize(HEADER)], out
+
+
+def together(listed: list[bytes | None], own: bytes, there: dict[bytes, bytes]) -> list[bytes]:
+    """The records of a medium in order: its own ones, one after another, and those of the store."""
+    records, at = [], 0
+    for digest in listed:
+        if digest is None:
+            end = at + struct.calcsize(RECORD) + struct.unpack_from("<I", own, at)[0]
+            records.append(own[at:end])
+            at = end
+        else:
+            records.append(there[digest])
+    return records
 
 
 def store(docs: DataFrame, key: str = "doc_id", text: str = "text") -> str:
@@ -96,9 +124,9 @@ def store(docs: DataFrame, key: str = "doc_id", text: str = "text") -> str:
         for _, texts in text_batches(batches):
             yield pa.RecordBatch.from_arrays([pa.array([hashlib.sha256(c).digest() for t in texts for c in chunks_of(payload_of(t))], pa.binary())], ["digest"])
 
-    again = rows.select("text").mapInArrow(digests, "digest binary").groupBy("digest").count().where("count > 1")
+    again = rows.select("text").mapInArrow(lean(digests), "digest binary").groupBy("digest").count().where("count > 1")
     first = F.conv(F.hex(F.substring("digest", 2, 7)), 16, 10).cast("long")  # seven bytes fit a BIGINT
-    sieve = spark.sparkContext.broadcast(sieve_of(again.select(first.alias("short"))))
+    sieve = send(spark, sieve_of(again.select(first.alias("short"))))
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         media: set[bytes] = set()
@@ -109,22 +137,22 @@ def store(docs: DataFrame, key: str = "doc_id", text: str = "text") -> str:
                 parts = chunks_of(payload_of(t))
                 names = [hashlib.sha256(c).digest() for c in parts]
                 shared = passes(sieve.value, np.array([int.from_bytes(d[1:8], "big") for d in names], dtype=np.int64)).tolist()
-                recipe = b"".join(struct.pack(ENTRY, d, len(c), s) for d, c, s in zip(names, parts, shared))
-                medium = hashlib.sha256(recipe).digest()
+                recipe = struct.pack(HEADER, MAGIC, sum(map(len, parts)), len(parts)) + b"".join(b"\1" + d if s else b"\0" for d, s in zip(names, shared))
+                medium = hashlib.sha256(b"".join(names)).digest()
                 out.append((0, k, len(t or b""), medium, None, None, None))
                 if medium not in media:
                     if all(shared):  # only such a medium can come again
                         media.add(medium)
-                    out.append((1, None, None, medium, recipe, b"".join(c for c, s in zip(parts, shared) if not s), None))
+                    out.append((1, None, None, medium, recipe, b"".join(record_of(d, c) for d, c, s in zip(names, parts, shared) if not s), None))
                 for d, c, s in zip(names, parts, shared):
                     if s and d not in sent:
                         sent.add(d)
-                        out.append((2, None, None, None, None, c, d))
+                        out.append((2, None, None, None, None, record_of(d, c), d))
             kinds = [pa.int32(), batch.column(0).type, pa.int64(), *[pa.binary()] * 4]
             yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], t) for i, t in enumerate(kinds)], ["kind", "key", "n_bytes", "medium", "recipe", "samples", "digest"])
 
     path = scratch(spark, "media")
-    dealt = rows.mapInArrow(deal, ROWS.format(kind))
+    dealt = rows.mapInArrow(lean(deal), ROWS.format(kind))
     dealt.write.partitionBy("kind").option("compression", "zstd").parquet(f"{path}/dealt")
     spark.read.schema(dealt.schema).parquet(f"{path}/dealt").where("kind = 2").groupBy("digest").agg(F.first("samples").alias("samples")).write.option("compression", "zstd").parquet(f"{path}/store")
     return path
@@ -143,36 +171,27 @@ def fetch(docs: DataFrame, path: str, key: str = "doc_id") -> DataFrame:
         for batch in batches:
             out: list[tuple] = []
             for medium, recipe, samples in zip(*(batch.column(i).to_pylist() for i in range(3))):
-                listed = entries(recipe)
-                wanted = {d for d, _, s in listed if s}
+                header, listed = entries(recipe)
+                wanted = {d for d in listed if d is not None}
                 if wanted:
                     out.append((medium, *[None] * 6, recipe, samples, None))
                     out.extend((medium, *[None] * 8, d) for d in wanted)
                 else:
-                    out.append((medium, *read_back(private(listed, samples, {})), None, None, None))
+                    out.append((medium, *read_back(header, together(listed, samples, {})), None, None, None))
                 if len(out) > 2000:
                     yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], t) for i, t in enumerate(kinds)], ["medium", *names, "recipe", "samples", "digest"])
                     out = []
             yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], t) for i, t in enumerate(kinds)], ["medium", *names, "recipe", "samples", "digest"])
 
-    def private(listed: list[tuple[bytes, int, bool]], samples: bytes, there: dict[bytes, bytes]) -> list[tuple[bytes, bytes]]:
-        parts, at = [], 0
-        for digest, length, shared in listed:
-            if shared:
-                parts.append((digest, there[digest]))
-            else:
-                parts.append((digest, samples[at : at + length]))
-                at += length
-        return parts
-
     def put_together(frame: pd.DataFrame) -> pd.DataFrame:
         lists = frame[frame["recipe"].notna()].iloc[0]
         there = {d: s for d, s in zip(frame["digest"], frame["samples"]) if d is not None}
-        return pd.DataFrame([(lists["medium"], *read_back(private(entries(lists["recipe"]), lists["samples"], there)))], columns=["medium", *names])
+        header, listed = entries(lists["recipe"])
+        return pd.DataFrame([(lists["medium"], *read_back(header, together(listed, lists["samples"], there)))], columns=["medium", *names])
 
     media = dealt.where("kind = 1").select("medium", "recipe", "samples")
     lone = media.where("length(samples) > 0").unionByName(media.where("length(samples) = 0").dropDuplicates(["medium"]))
-    sorted_out = lone.mapInArrow(sort_out, f"medium binary, {VALUES}, recipe binary, samples binary, digest binary")
+    sorted_out = lone.mapInArrow(lean(sort_out), f"medium binary, {VALUES}, recipe binary, samples binary, digest binary")
     done = sorted_out.where("payload_bytes IS NOT NULL").select("medium", *names)
     open_lists = sorted_out.where("recipe IS NOT NULL").select("medium", "recipe", "samples", "digest")
     found = sorted_out.where("digest IS NOT NULL").select("medium", "digest").join(chunks, "digest").select("medium", F.lit(None).cast("binary").alias("recipe"), "samples", "digest")
