@@ -2,9 +2,9 @@
 
 A segment holds the ids of consecutive documents one after another, 2 or 4 bytes an id, and where each document
 ends: the ends never fall, so they are kept as packed low bits and a unary coded high part (about 2 + log2(ids a
-document) bits each), with the place of every 64th one as select structure. Document keys are coded the same way.
+document) bits each), with the place of every 128th one as stored select structure. Document keys are coded the same way.
 
-Documents come in ascending key order, null keys first, equal keys by text. A null text is empty and has the end id alone.
+Documents come in ascending key order, null keys first, equal keys by a hash of their text and by text. A null text is empty and has the end id alone.
 """
 
 from __future__ import annotations
@@ -21,12 +21,12 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .storage import materialise
-from .textkernel import text_batches
+from .textkernel import KEPT, lean, text_batches
 
-MAGIC = b"EBTOK1\0\0"
+MAGIC = b"EBTOK2\0\0"
 #: A segment is closed once it has so many ids.
 SEGMENT_IDS = 2_000_000
-SELECT_EVERY = 64
+SELECT_EVERY = 128
 #: Remembered words of a Python worker at most.
 MEMORY_WORDS = 800_000
 #: Longer words are not remembered.
@@ -46,12 +46,10 @@ def apart(text: bytes) -> bytes:
 
 
 class EliasFano:
-    """A non-falling sequence of unsigned integers."""
+    """A non-falling sequence of unsigned integers. samples: the places of every SELECT_EVERY-th set bit of the high part."""
 
-    def __init__(self, n: int, low_bits: int, low: np.ndarray, high: np.ndarray):
-        self.n, self.low_bits, self.low, self.high = n, low_bits, low, high
-        bits = np.unpackbits(high, bitorder="little")
-        self.samples = np.flatnonzero(bits)[::SELECT_EVERY].astype(np.uint32)
+    def __init__(self, n: int, low_bits: int, low: np.ndarray, high: np.ndarray, samples: np.ndarray):
+        self.n, self.low_bits, self.low, self.high, self.samples = n, low_bits, low, high, samples
 
     @classmethod
     def of(cls, values: np.ndarray) -> EliasFano:
@@ -61,25 +59,27 @@ class EliasFano:
         values = values.astype(np.uint64)
         parts = ((values[:, None] >> np.arange(low_bits, dtype=np.uint64)) & np.uint64(1)).astype(np.uint8)
         high = np.zeros((top >> low_bits) + n + 1, dtype=np.uint8)
-        high[(values >> np.uint64(low_bits)).astype(np.int64) + np.arange(n)] = 1
-        return cls(n, low_bits, np.packbits(parts.ravel(), bitorder="little"), np.packbits(high, bitorder="little"))
+        places = (values >> np.uint64(low_bits)).astype(np.int64) + np.arange(n)
+        high[places] = 1
+        return cls(n, low_bits, np.packbits(parts.ravel(), bitorder="little"), np.packbits(high, bitorder="little"), places[::SELECT_EVERY].astype("<u4"))
 
     def select(self, i: int) -> int:
         """The i-th value, from the nearest sample on."""
         at = int(self.samples[i // SELECT_EVERY])
         left = i % SELECT_EVERY
-        while left:  # the next set bits, byte by byte
+        if left:
             at += 1
-            byte = int(self.high[at >> 3]) >> (at & 7)
-            if not byte:
-                at |= 7
-                continue
-            at += (byte & -byte).bit_length() - 1
-            left -= 1
-        low = 0
-        for b in range(self.low_bits):
-            k = i * self.low_bits + b
-            low |= (int(self.low[k >> 3]) >> (k & 7) & 1) << b
+            while True:  # 64 places at a time
+                window = int.from_bytes(self.high[at >> 3 : (at >> 3) + 8].tobytes(), "little") >> (at & 7)
+                if (n := window.bit_count()) >= left:
+                    break
+                left -= n
+                at = ((at >> 3) + 8) << 3
+            for _ in range(left - 1):
+                window &= window - 1
+            at += (window & -window).bit_length() - 1
+        k = i * self.low_bits
+        low = int.from_bytes(self.low[k >> 3 : (k + self.low_bits + 7) >> 3].tobytes(), "little") >> (k & 7) & ((1 << self.low_bits) - 1)
         return (at - i) << self.low_bits | low
 
     def all(self) -> np.ndarray:
@@ -88,13 +88,13 @@ class EliasFano:
         return (high.astype(np.int64) << self.low_bits) + bits @ (np.int64(1) << np.arange(self.low_bits, dtype=np.int64))
 
     def write(self) -> bytes:
-        return struct.pack("<QBQQ", self.n, self.low_bits, len(self.low), len(self.high)) + self.low.tobytes() + self.high.tobytes()
+        return struct.pack("<QBQQQ", self.n, self.low_bits, len(self.low), len(self.high), len(self.samples)) + self.low.tobytes() + self.high.tobytes() + self.samples.tobytes()
 
     @classmethod
     def read(cls, raw: bytes, at: int) -> tuple[EliasFano, int]:
-        n, low_bits, a, b = struct.unpack_from("<QBQQ", raw, at)
-        at += struct.calcsize("<QBQQ")
-        return cls(n, low_bits, np.frombuffer(raw, np.uint8, a, at), np.frombuffer(raw, np.uint8, b, at + a)), at + a + b
+        n, low_bits, a, b, c = struct.unpack_from("<QBQQQ", raw, at)
+        at += struct.calcsize("<QBQQQ")
+        return cls(n, low_bits, np.frombuffer(raw, np.uint8, a, at), np.frombuffer(raw, np.uint8, b, at + a), np.frombuffer(raw, "<u4", c, at + a + b)), at + a + b + 4 * c
 
 
 def pack(keys: list[int | None], ends: np.ndarray, ids: bytes, width: int) -> bytes:
@@ -116,12 +116,18 @@ class Segment:
         self.ends, at = EliasFano.read(raw, at)
         self.key_values = keys
         self.ids = np.frombuffer(raw, dtype=f"<u{width}", offset=at)
+        self._last = -1, 0
 
     def __len__(self) -> int:
         return self.ends.n
 
     def offsets(self, i: int) -> tuple[int, int]:
-        return (self.ends.select(i - 1) if i else 0), self.ends.select(i)
+        """Where document i starts and ends, through the stored select structure. Reading on from the document before,
+        its end is known."""
+        last, end = self._last
+        start = 0 if not i else end if last == i - 1 else self.ends.select(i - 1)
+        self._last = i, self.ends.select(i)
+        return start, self._last[1]
 
     def keys(self) -> list[int | None]:
         return [None] * self.nulls + (self.key_values.all() + self.base).tolist()
@@ -191,13 +197,11 @@ class WordTokenizer:
         return out
 
 
-_tokenizers: dict[str, WordTokenizer] = {}
-
-
 def tokenizer(path: str) -> WordTokenizer:
-    if path not in _tokenizers:
-        _tokenizers[path] = WordTokenizer(path)
-    return _tokenizers[path]
+    name = f"tokens {path}"
+    if name not in KEPT:
+        KEPT[name] = WordTokenizer(path)
+    return KEPT[name]
 
 
 SEGMENTS = "part int, seq long, n_docs long, n_ids long, segment binary"
@@ -234,8 +238,10 @@ def write_segments(df: DataFrame, path: str, end_id: int, key: str = "doc_id", t
             yield closed()
 
     parts = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    ordered = df.select(F.col(key).cast("long").alias("key"), F.col(text).alias("text")).repartitionByRange(parts, "key").sortWithinPartitions("key", "text")
-    return materialise(ordered.mapInArrow(run, SEGMENTS), "tokens")
+    # a hash of the text also bounds ranges, so that rows of one key, or of none, need not go to one task
+    rows = df.select(F.col(key).cast("long").alias("key"), F.col(text).alias("text")).withColumn("deal", F.xxhash64("text"))
+    ordered = rows.repartitionByRange(parts, "key", "deal").sortWithinPartitions("key", "deal", "text").select("key", "text")
+    return materialise(ordered.mapInArrow(lean(run, "tokens"), SEGMENTS), "tokens")
 
 
 def read_segments(segments: DataFrame) -> DataFrame:
@@ -245,18 +251,14 @@ def read_segments(segments: DataFrame) -> DataFrame:
         for batch in batches:
             for part, seq, raw in zip(*(batch.column(i).to_pylist() for i in range(3))):
                 segment = Segment(raw)
-                ends = segment.ends.all()
-                starts = np.concatenate(([0], ends[:-1]))
-                ids = segment.ids.astype("<u4")
-                if len(segment):
-                    middle = len(segment) // 2
-                    if segment.offsets(middle) != (starts[middle], ends[middle]):
-                        raise ValueError("a segment's select structure is wrong")
-                sums = [zlib.crc32(ids[a:b]) for a, b in zip(starts, ends)]
-                n = len(segment)
+                ids, n = segment.ids.astype("<u4"), len(segment)
+                starts, ends = np.array([segment.offsets(i) for i in range(n)], dtype=np.int64).reshape(n, 2).T
+                if n and ends[-1] != len(ids):
+                    raise ValueError("a segment's documents do not end where its ids end")
+                sums = [zlib.crc32(ids[a:b]) for a, b in zip(starts.tolist(), ends.tolist())]
                 yield pa.RecordBatch.from_arrays([pa.array([part] * n, pa.int32()), pa.array([seq] * n, pa.int64()), pa.array(segment.keys(), pa.int64()), pa.array(starts, pa.int64()), pa.array(ends - starts, pa.int64()), pa.array(sums, pa.int64())], ["part", "seq", "doc_id", "at", "n_tokens", "ids_crc32"])
 
-    docs = segments.select("part", "seq", "segment").mapInArrow(run, "part int, seq long, doc_id long, at long, n_tokens long, ids_crc32 long")
+    docs = segments.select("part", "seq", "segment").mapInArrow(lean(run), "part int, seq long, doc_id long, at long, n_tokens long, ids_crc32 long")
     sizes = segments.select("part", "seq", "n_ids")
     # one row a part in the single-task window: as many as tasks have written
     parts = sizes.groupBy("part").agg(F.sum("n_ids").alias("n")).select("part", (F.sum("n").over(Window.orderBy("part")) - F.col("n")).alias("before_part"))

@@ -2,6 +2,7 @@ import random
 import zlib
 
 import numpy as np
+import xxhash
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
@@ -45,7 +46,8 @@ def test_frame(spark, monkeypatch):
     rows = [(i * 3 % 50, "Word, and\nmore  words " * (i % 4) if i % 6 else None, 0) for i in range(50)] + [(None, "x", 0), (3, "twice", 0)]
     got = read_segments(write_segments(spark.createDataFrame(rows, "doc_id long, text string, start int"), PATH, 1)).collect()
     words, at, want = tokenizer(PATH), 0, []
-    for k, t, _ in sorted(rows, key=lambda r: (r[0] is not None, r[0] or 0, r[1] is not None, r[1] or "")):
+    dealt = lambda t: 42 if t is None else int(np.uint64(xxhash.xxh64(t.encode(), seed=42).intdigest()).astype(np.int64))
+    for k, t, _ in sorted(rows, key=lambda r: (r[0] is not None, r[0] or 0, dealt(r[1]))):
         ids = np.concatenate((np.frombuffer(words.plain(t or ""), words.kind), [1])).astype("<u4")
         want.append((k, at, len(ids), zlib.crc32(ids.tobytes())))
         at += len(ids)
