@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from evenbatch.llm import decontaminate, jaccard, langid, pieces
 from evenbatch.llm.queries import vocabulary
-from evenbatch.llm.storage import materialise, table
+from evenbatch.llm.storage import materialise, release, table
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -20,16 +20,19 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group that links of similarity 0.75 and more hold together."""
+    release()  # the stage before has been written
     return jaccard.keep_first(docs)
 
 
 def drop_benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in which no window of a benchmark item occurs."""
+    release()
     return decontaminate.keep_clean(docs, table(spark, sf_dir, "benchmark"))
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token counts and digests of ids and decoded text of each document left."""
+    release()
     return pieces.encode_documents(docs, vocabulary("piece_bpe_32k.model"))
 
 
