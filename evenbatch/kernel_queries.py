@@ -101,6 +101,22 @@ def _rounded(df, *keys):
     return df.select(*keys, (F.round("val", 6) + F.lit(0.0)).alias("val"))
 
 
+def kernel_seconds(spark, d) -> tuple[float, float]:
+    """Measured seconds of the dense chain and of the fused product on the same stored edges, after a run to warm up."""
+    import time
+
+    from .sources.tables import sink_noop, stored
+
+    inputs = stored(_inputs(spark, d), "edges")
+    sink_noop(kernels.product_fused(inputs, K))
+    took = []
+    for form in (kernels.product_dense_chain, kernels.product_fused):
+        began = time.perf_counter()
+        sink_noop(form(inputs, K))
+        took.append(time.perf_counter() - began)
+    return took[0], took[1]
+
+
 @query(SHOW_PRODUCT)
 def edge_product_sparse(spark, d):
     return _rounded(kernels.product_sparse(_inputs(spark, d), K), "dst", "k", "l3", "m3")

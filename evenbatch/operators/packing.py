@@ -1,7 +1,8 @@
 """Balanced batches and their comparators as DataFrame operators.
 
-Items are (id, size) rows. Planning uses the histogram of sizes, which has at most capacity + 1 rows; the only shuffle
-of items is the range sort that gives places, and it moves ids and sizes, never payloads.
+Items are (id, size) rows, written once: what gives the sizes is read a single time. Planning uses the histogram of
+sizes, which has at most capacity + 1 rows; the only shuffle of items is the range sort that gives places, and it moves
+ids and sizes, never payloads. Larger items stand before all others in the same sort.
 """
 
 from __future__ import annotations
@@ -16,9 +17,9 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.packing import OversizeError, Plan, bin_count, pack_fixed_bins, pack_greedy, pack_local, plan_intervals
-from ..sources.tables import settled
+from ..sources.tables import settled, stored
 
-#: Pieces above which a plan is no longer broadcast but joined by range of places.
+#: Pieces above which a plan is no longer broadcast: items then meet the pieces of their block of places in a shuffle.
 BROADCAST_PIECES = 2_000_000
 
 
@@ -32,7 +33,7 @@ class PackResult:
 
 def with_global_rank(df: DataFrame, keys: list[Column], name: str = "place") -> DataFrame:
     """A place from 0 in the order of keys: range partitions, sorted, counted, and numbered from where they begin."""
-    ordered = settled(df.repartitionByRange(*keys).sortWithinPartitions(*keys).withColumn("_part", F.spark_partition_id()).withColumn("_row", F.monotonically_increasing_id()))
+    ordered = stored(df.repartitionByRange(*keys).sortWithinPartitions(*keys).withColumn("_part", F.spark_partition_id()).withColumn("_row", F.monotonically_increasing_id()), "ranked")
     sizes = ordered.groupBy("_part").agg(F.count("*").alias("_n"), F.min("_row").alias("_first"))
     # one row a range partition in this window
     begins = sizes.select("_part", (F.sum("_n").over(Window.orderBy("_part")) - F.col("_n") - F.col("_first")).alias("_shift"))
@@ -62,30 +63,47 @@ def apply_oversize(df: DataFrame, capacity: int, policy: str = "error") -> tuple
     raise ValueError(policy)
 
 
-def place_pieces(ranked: DataFrame, plan: Plan) -> DataFrame:
-    """The bin of each place, by binary search in the broadcast pieces: no shuffle."""
-    starts = np.array([p.first for p in plan.pieces], dtype=np.int64)
+def place_pieces(ranked: DataFrame, plan: Plan, first: int = 0) -> DataFrame:
+    """The bin of each place, counted from first. The plan's pieces are broadcast and searched, without a shuffle, as long
+    as they are few; else pieces and items are joined by blocks of places."""
+    starts = np.array([p.first + first for p in plan.pieces], dtype=np.int64)
     table = np.array([(p.bin_lo, p.level, p.lap) for p in plan.pieces], dtype=np.int64).reshape(-1, 3)
+    if len(starts) > BROADCAST_PIECES:
+        return _place_by_blocks(ranked, plan, first)
     shared = ranked.sparkSession.sparkContext.broadcast((starts, table))
-    known = sum(p.count for p in plan.pieces)
+    known = first + sum(p.count for p in plan.pieces)
     names = ranked.columns
     at_place = names.index("place")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        first, rows = shared.value
+        begins, rows = shared.value
         for batch in batches:
             place = batch.column(at_place).to_numpy(zero_copy_only=False)
-            k = np.searchsorted(first, place, side="right") - 1
+            k = np.searchsorted(begins, place, side="right") - 1
             ok = (place < known) & (k >= 0)
             k = np.maximum(k, 0)
-            bins = rows[k, 0] + place - first[k] if len(first) else place
-            cols = [pa.array(x, t, mask=~ok) for x, t in ((bins, pa.int64()), (rows[k, 1] if len(first) else place, pa.int32()), (rows[k, 2] if len(first) else place, pa.int32()))]
+            bins = rows[k, 0] + place - begins[k] if len(begins) else place
+            cols = [pa.array(x, t, mask=~ok) for x, t in ((bins, pa.int64()), (rows[k, 1] if len(begins) else place, pa.int32()), (rows[k, 2] if len(begins) else place, pa.int32()))]
             yield pa.RecordBatch.from_arrays([*batch.columns, *cols], [*names, "bin_id", "level", "lap"])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in ranked.schema) + ", bin_id long, level int, lap int"
     return ranked.mapInArrow(run, schema)
 
 
+#: Places of a block, in which items meet the pieces that reach into it.
+BLOCK = 100_000
+
+
+def _place_by_blocks(ranked: DataFrame, plan: Plan, first: int) -> DataFrame:
+    rows = [(p.first + first, p.first + first + p.count, p.bin_lo, p.level, p.lap) for p in plan.pieces]
+    pieces = ranked.sparkSession.createDataFrame(rows, "_lo long, _hi long, _bin long, level int, lap int")
+    pieces = pieces.withColumn("_block", F.explode(F.sequence(F.floor(F.col("_lo") / BLOCK), F.floor((F.col("_hi") - 1) / BLOCK))))
+    inside = (F.col("place") >= F.col("_lo")) & (F.col("place") < F.col("_hi"))
+    items = ranked.withColumn("_block", F.floor(F.col("place") / BLOCK))
+    met = items.join(pieces.withColumnRenamed("_block", "_of"), (F.col("_block") == F.col("_of")) & inside, "left")
+    return met.select(*ranked.columns, (F.col("_bin") + F.col("place") - F.col("_lo")).alias("bin_id"), "level", "lap")
+
+
 def bins_of(assignment: DataFrame, n_bins: int, oversize: DataFrame | None = None) -> DataFrame:
     """One row a bin, empty ones too."""
     filled = assignment.where("bin_id IS NOT NULL").groupBy("bin_id").agg(F.sum("size").alias("load"), F.count("*").alias("n_items"), F.sum(F.col("size") * F.col("size")).alias("sum_sq"))
@@ -96,17 +114,30 @@ def bins_of(assignment: DataFrame, n_bins: int, oversize: DataFrame | None = Non
 def pack_balanced(df: DataFrame, capacity: int, ranks: int, strategy: str = "interval", oversize: str = "error", reactivate: bool = True, recursive: bool = True, bin_order: str = "emptiest_first", shards: int = 8, seed: int | None = None) -> PackResult:
     """Balanced batches of (id, size). Strategies: interval (exact, any scale), rounds (exact, a job a lap), local
     (exact, one task), sharded (each shard packed apart). seed orders equal sizes by a hash instead of by id."""
-    fit, alone = apply_oversize(df, capacity, oversize)
-    spark = df.sparkSession
-    keys = [F.col("size").desc(), *([F.xxhash64("id", F.lit(seed)).asc()] if seed is not None else []), F.col("id").asc(), *([F.col("chunk").asc()] if "chunk" in fit.columns else [])]
     if bin_order != "emptiest_first" and strategy != "local":
         raise ValueError("only the local strategy can turn the bin order")
+    spark = df.sparkSession
+    df = stored(df.select("id", "size"), "items")
+    ties = [F.xxhash64("id", F.lit(seed)).asc()] if seed is not None else []
     trace: list[dict] = []
+    if strategy == "interval" and oversize in ("isolate", "drop"):
+        runs = size_histogram(df.select(F.least("size", F.lit(capacity + 1)).alias("size"))).collect()  # at most capacity + 2 rows
+        n_alone = sum(r["items"] for r in runs if r["size"] > capacity)
+        plan = plan_intervals([(r["size"], r["items"]) for r in runs if r["size"] <= capacity], capacity, ranks, reactivate, recursive)
+        ranked = with_global_rank(df if oversize == "isolate" else df.where(F.col("size") <= capacity), [F.col("size").desc(), *ties, F.col("id").asc()])
+        if oversize == "drop":
+            n_alone = 0
+        got = place_pieces(ranked, plan, n_alone)
+        own = F.col("place") < n_alone
+        got = got.withColumn("bin_id", F.when(own, F.col("place") + plan.n_bins).otherwise(F.col("bin_id")))
+        n_bins = bin_count(plan.n_bins + n_alone, 1, ranks) if n_alone else plan.n_bins
+        bins = bins_of(got, n_bins).withColumn("is_oversize", (F.col("bin_id") >= plan.n_bins) & (F.col("n_items") > 0))
+        return PackResult(got.select("id", "size", "bin_id", "level", "lap"), bins, plan.trace, n_bins)
+    fit, alone = apply_oversize(df, capacity, oversize)
+    keys = [F.col("size").desc(), *ties, F.col("id").asc(), *([F.col("chunk").asc()] if "chunk" in fit.columns else [])]
     if strategy == "interval":
         runs = [(r["size"], r["items"]) for r in size_histogram(fit).collect()]  # at most capacity + 1 rows
         plan = plan_intervals(runs, capacity, ranks, reactivate, recursive)
-        if len(plan.pieces) > BROADCAST_PIECES:
-            raise ValueError("the plan has too many pieces to broadcast: use the sharded strategy")
         assignment, n_bins, trace = place_pieces(with_global_rank(fit, keys), plan), plan.n_bins, plan.trace
     elif strategy == "local":
         ordered = with_global_rank(fit, keys)
@@ -198,14 +229,30 @@ def _rounds(ranked: DataFrame, capacity: int, ranks: int, reactivate: bool, recu
 
 
 def pack_balanced_by(df: DataFrame, keys: list[str], capacity: int, ranks: int) -> DataFrame:
-    """One exact plan a group; bin ids start at 0 in each."""
-
-    def each(frame: pd.DataFrame) -> pd.DataFrame:
-        frame = frame.sort_values("id")
-        return frame.assign(bin_id=pack_local(frame["size"].tolist(), capacity, ranks)[0])
-
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema) + ", bin_id long"
-    return df.groupBy(*keys).applyInPandas(each, schema)
+    """One exact plan a group; bin ids start at 0 in each. A group is planned from its histogram of sizes, which has at
+    most capacity + 1 rows, and its items then meet the pieces of their size by a join: no task holds a group's items.
+    Equal sizes go by id."""
+    if df.where(F.col("size") > capacity).head(1):
+        raise OversizeError(f"an item exceeds the capacity {capacity}")
+    df = stored(df, "items")
+    names = ", ".join(f"`{k}` {dict(df.dtypes)[k]}" for k in keys)
+
+    def plan(frame: pd.DataFrame) -> pd.DataFrame:
+        got = plan_intervals(list(zip(frame["size"].tolist(), frame["items"].tolist())), capacity, ranks)
+        out = pd.DataFrame([(p.first, p.first + p.count, p.bin_lo) for p in got.pieces], columns=["_lo", "_hi", "_bin"])
+        for k in keys:
+            out[k] = frame[k].iloc[0]
+        return out[[*keys, "_lo", "_hi", "_bin"]]
+
+    pieces = df.groupBy(*keys, F.col("size").cast("long").alias("size")).agg(F.count("*").alias("items")).groupBy(*keys).applyInPandas(plan, f"{names}, _lo long, _hi long, _bin long")
+    # places inside a group: those of the whole order less where the group begins
+    ranked = with_global_rank(df, [*[F.col(k).asc() for k in keys], F.col("size").desc(), F.col("id").asc()], "_at")
+    begins = ranked.groupBy(*keys).agg(F.min("_at").alias("_begin"))
+    placed = ranked.join(begins, keys).withColumn("place", F.col("_at") - F.col("_begin"))
+    blocks = pieces.withColumn("_block", F.explode(F.sequence(F.floor(F.col("_lo") / BLOCK), F.floor((F.col("_hi") - 1) / BLOCK))))
+    met = placed.withColumn("_block", F.floor(F.col("place") / BLOCK)).join(blocks, [*keys, "_block"])
+    met = met.where((F.col("place") >= F.col("_lo")) & (F.col("place") < F.col("_hi")))
+    return met.select(*df.columns, (F.col("_bin") + F.col("place") - F.col("_lo")).alias("bin_id"))
 
 
 def batch_fixed_count(df: DataFrame, count: int, order: str = "input", seed: int = 0, tail: str = "none", ranks: int = 1) -> DataFrame:
@@ -252,15 +299,18 @@ def pack_sequential(df: DataFrame, rule: str, capacity: int | None = None, bins:
 
 def block_of_epoch(df: DataFrame, capacity: int, ranks: int, epoch: int, seed: int = 0) -> DataFrame:
     """(bin_id, step, rank) of an epoch: equal sizes and steps are shuffled by the epoch, alike on all processes."""
-    got = pack_balanced(df, capacity, ranks, seed=seed + epoch)
+    got = pack_balanced(df, capacity, ranks, oversize="isolate", seed=seed + epoch)
     return schedule(got.bins, ranks, "shuffled", seed + epoch)
 
 
 def schedule(bins: DataFrame, ranks: int, order: str = "bin", seed: int = 0) -> DataFrame:
     """Step and rank of each bin. order: bin (as opened, neighbours are alike), load (fullest first) or shuffled (whole
     steps are permuted)."""
-    keys = [F.col("load").desc(), F.col("bin_id").asc()] if order == "load" else [F.col("bin_id").asc()]
-    out = with_global_rank(bins, keys, "_at").withColumn("step", F.floor(F.col("_at") / ranks)).withColumn("rank", (F.col("_at") % ranks).cast("int")).drop("_at")
+    if order == "load":
+        out = with_global_rank(bins, [F.col("load").desc(), F.col("bin_id").asc()], "_at")
+    else:  # bin ids have no gaps
+        out = bins.withColumn("_at", F.col("bin_id"))
+    out = out.withColumn("step", F.floor(F.col("_at") / ranks)).withColumn("rank", (F.col("_at") % ranks).cast("int")).drop("_at")
     if order == "shuffled":
         steps = with_global_rank(out.select("step").distinct(), [F.xxhash64("step", F.lit(seed)).asc(), F.col("step").asc()], "new_step")
         out = out.join(steps, "step").drop("step").withColumnRenamed("new_step", "step")

@@ -2,21 +2,26 @@
 
 from __future__ import annotations
 
+import atexit
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: Where checkpoints go if the session names no folder, as in local tests.
+#: Used only in local mode, where the session names no shared folder: there are no other machines then.
 LOCAL_DEFAULT = "/tmp/checkpoints/evenbatch"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    named = spark.conf.get("spark.checkpoint.dir", None)
+    """The folder all executors share: that of the session's settings or else of its context; in local mode a default."""
+    context = spark.sparkContext
+    named = spark.conf.get("spark.checkpoint.dir", None) or context.getCheckpointDir()
     if not named:
+        if context.master != "local" and not context.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         named = LOCAL_DEFAULT
-        if spark.sparkContext.getCheckpointDir() is None:
-            spark.sparkContext.setCheckpointDir(named)
+    if context.getCheckpointDir() is None:
+        context.setCheckpointDir(named)
     return named.rstrip("/")
 
 
@@ -26,8 +31,32 @@ def settled(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+_written: set[str] = set()
+
+
 def scratch(spark: SparkSession, label: str) -> str:
-    return f"{shared_dir(spark)}/evenbatch-{label}-{uuid.uuid4().hex}"
+    """A fresh path under the shared folder, which goes when the application ends."""
+    path = f"{shared_dir(spark)}/evenbatch-{label}-{uuid.uuid4().hex}"
+    _written.add(path)
+    return path
+
+
+@atexit.register
+def _sweep() -> None:
+    spark = SparkSession.getActiveSession()
+    for path in list(_written) if spark is not None else []:
+        try:
+            target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+            target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
+        except Exception:  # noqa: BLE001  (the JVM is gone)
+            return
+
+
+def stored(df: DataFrame, label: str) -> DataFrame:
+    """df as Parquet in the shared folder: for tables whose rows carry their order themselves."""
+    path = scratch(df.sparkSession, label)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str, columns: list[str] | None = None, predicate: str | Column | None = None) -> DataFrame:
@@ -60,10 +89,9 @@ def tags(html: str = "html") -> Column:
     return (F.length(html) - F.length(F.replace(html, F.lit("<")))).cast("long")
 
 
-def doc_sizes(spark: SparkSession, sf_dir: str, limit: int | None = None) -> DataFrame:
-    """(id, size): words of each document; with limit, those that fit."""
-    df = read_table(spark, sf_dir, "documents", ["doc_id", "text"]).select(F.col("doc_id").alias("id"), words().alias("size"))
-    return df if limit is None else df.where(F.col("size") <= limit)
+def doc_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(id, size): words of each document; a null text has none."""
+    return read_table(spark, sf_dir, "documents", ["doc_id", "text"]).select(F.col("doc_id").alias("id"), F.coalesce(words(), F.lit(0)).cast("long").alias("size"))
 
 
 def _counted(df: DataFrame, key: str, source: str) -> DataFrame:
@@ -102,6 +130,13 @@ def synthetic_sizes(spark: SparkSession, n: int, lo: int, hi: int) -> DataFrame:
     return spark.range(n).select("id", (F.pmod(F.xxhash64("id"), F.lit(hi - lo + 1)) + lo).alias("size"))
 
 
+def graph_size(vertices: str = "n_vertices", edges: str = "n_edges", alpha: float = 1.0, beta: float = 0.0) -> Column:
+    """A graph's size as alpha * vertices + beta * edges, rounded up; a null count is 0."""
+    part = lambda c, w: F.coalesce(F.col(c), F.lit(0)) * F.lit(w)
+    total = part(vertices, alpha) if not beta else part(edges, beta) if not alpha else part(vertices, alpha) + part(edges, beta)
+    return F.ceil(total).cast("long")
+
+
 def write_batches(df: DataFrame, path: str, by: tuple[str, ...] = ("rank",), fmt: str = "parquet") -> None:
     df.repartition(*by).write.partitionBy(*by).format(fmt).save(path)
 
@@ -113,3 +148,8 @@ def write_bucketed(df: DataFrame, table: str, buckets: int, column: str) -> None
 def sink_noop(df: DataFrame) -> None:
     """Run df and throw its rows away."""
     df.write.format("noop").mode("overwrite").save()
+
+
+def sink_foreach(df: DataFrame, each) -> None:
+    """Hand each partition's rows, an iterator, to a function that runs beside them."""
+    df.foreachPartition(each)
