@@ -201,14 +201,145 @@ def symmetric_contract_nested(spark, d):
     return _rounded(kernels.unpack_order(kernels.contract_fused(_pooled(spark, d), K, 2, 2, 0, nested=True), K, 0), "dst", "k", "m3")
 
 
-@query()
+def _terms_sql(l_out: int) -> str:
+    """CTEs over full_a: f (dst, z, k, i, val) and terms (nu, path, m3, i1, i2, i3, c) of up to three coupled factors."""
+    return f"""{_cz_of(4, 2, 4)}, f AS (SELECT dst, z, k, l3 * l3 + l3 + m3 AS i, val FROM full_a),
+    terms AS (SELECT 1 AS nu, 0 AS path, m3, l3 * l3 + l3 + m3 AS i1, 0 AS i2, 0 AS i3, CAST(1 AS DOUBLE) AS c FROM lm WHERE l3 = {l_out} AND k = 0
+      UNION ALL SELECT 2, dense_rank() OVER (ORDER BY l1, l2) - 1, m3, l1 * l1 + l1 + m1, l2 * l2 + l2 + m2, 0, c FROM cz WHERE l1 <= 2 AND l3 = {l_out}
+      UNION ALL SELECT 3, dense_rank() OVER (ORDER BY a.l3, a.l1, a.l2, b.l2) - 1, b.m3, a.l1 * a.l1 + a.l1 + a.m1, a.l2 * a.l2 + a.l2 + a.m2, b.l2 * b.l2 + b.l2 + b.m2, a.c * b.c FROM cz a JOIN cz b ON b.l1 = a.l3 AND b.m1 = a.m3 WHERE a.l1 <= 2 AND b.l3 = {l_out}),
+    products AS (SELECT f.dst, f.z, f.k, nu, path, t.m3, c * f.val * CASE WHEN nu > 1 THEN g.val ELSE 1 END * CASE WHEN nu > 2 THEN h.val ELSE 1 END AS val
+      FROM terms t JOIN f ON f.i = t.i1 JOIN f g ON g.dst = f.dst AND g.k = f.k AND g.i = t.i2 JOIN f h ON h.dst = f.dst AND h.k = f.k AND h.i = t.i3)"""
+
+
+def _cz_of(l1: int, l2: int, l3: int) -> str:
+    return cg_sql(l1, l2, l3).replace("cg AS", "cz AS").replace("t AS", "tz AS", 1).replace("FROM t)", "FROM tz)").replace("FROM t, range", "FROM tz, range").replace("pth", "pz").replace("ks AS", "kz AS").replace("FROM ks", "FROM kz")
+
+
+def _seeded(*parts: str) -> str:
+    seed = "0"
+    for x in parts:
+        seed = f"({seed} * 31 + {x} + 1)"
+    return f"(({seed} % 7 - 3) / 8.0)"
+
+
+def _contracted(nu: int, l_out: int) -> str:
+    return f"WITH {ALL_A}, {_terms_sql(l_out)} SELECT dst, k, CAST(m3 AS INTEGER) AS m3, round(sum({_seeded('z', 'k', 'nu', 'path')} * val), 6) + 0.0 AS val FROM products WHERE nu <= {nu} GROUP BY dst, k, m3"
+
+
+@query(_contracted(3, 1))
 def symmetric_contract_nu3(spark, d):
     return _rounded(kernels.unpack_order(kernels.contract_fused(_pooled(spark, d), K, 2, 3, 1), K, 1), "dst", "k", "m3")
 
 
-@query()
+@query(NU2)
+def symmetric_contract_dense(spark, d):
+    """The unfused baseline of the contraction: a written result for each order and path."""
+    return _rounded(kernels.contract_dense_chain(_pooled(spark, d), K, 2, 2, 0), "dst", "k", "m3")
+
+
+@query(f"WITH {_cz_of(4, 2, 4)}, g AS (SELECT 2 AS nu, dense_rank() OVER (ORDER BY l1, l2) - 1 AS path, m3, [l1 * l1 + l1 + m1, l2 * l2 + l2 + m2] AS lms, c FROM cz WHERE l1 <= 2 AND l3 = 1 UNION ALL SELECT 3, dense_rank() OVER (ORDER BY a.l3, a.l1, a.l2, b.l2) - 1, b.m3, [a.l1 * a.l1 + a.l1 + a.m1, a.l2 * a.l2 + a.l2 + a.m2, b.l2 * b.l2 + b.l2 + b.m2], a.c * b.c FROM cz a JOIN cz b ON b.l1 = a.l3 AND b.m1 = a.m3 WHERE a.l1 <= 2 AND b.l3 = 1) SELECT nu, CAST(path AS INTEGER) AS path, CAST(m3 AS INTEGER) AS m3, lms, round(c, 9) AS c FROM g")
+def generalized_cg(spark, d):
+    """The coupling coefficients of two and three factors of order up to 2 that end in order 1."""
+    rows = [t for t in kernels.contraction_terms(2, 3, 1) if t[0] > 1]
+    return literal_table(spark, rows, "nu int, path int, m3 int, lms array<int>, c double").withColumn("c", F.round("c", 9))
+
+
+BODY = f"WITH {ALL_A}, {_terms_sql(0)}"
+
+
+@query(f"{BODY} SELECT dst, k, nu, CAST(path AS INTEGER) AS path, round(sum(val), 6) + 0.0 AS val FROM products WHERE nu <= 2 GROUP BY dst, k, nu, path")
+def body_features(spark, d):
+    """Invariant products of one and two factors on each vertex, not yet weighed."""
+    return _rounded(kernels.body_features(_pooled(spark, d), K, 2, 2, 0), "dst", "k", "nu", "path")
+
+
+@query(_contracted(2, 0))
+def message(spark, d):
+    """Body features weighed by species, channel and path."""
+    return _rounded(kernels.message(kernels.body_features(_pooled(spark, d), K, 2, 2, 0)), "dst", "k", "m3")
+
+
+UPDATED = f"""{BODY}, m AS (SELECT dst, k, sum({_seeded('z', 'k', 'nu', 'path')} * val) AS m FROM products WHERE nu <= 2 GROUP BY dst, k), h0 AS (SELECT vec_id AS v, CAST(j AS INTEGER) AS k, {_seeded('label', 'j')} AS h FROM embeddings, range({K}) r(j)),
+    h1 AS (SELECT i.v, i.k, sum(j.h * ({_seeded('7', 'i.k', 'j.k')} + CASE WHEN i.k = j.k THEN 1 ELSE 0 END)) + coalesce(any_value(m.m), 0) AS h FROM h0 i JOIN h0 j ON j.v = i.v LEFT JOIN m ON m.dst = i.v AND m.k = i.k GROUP BY i.v, i.k)"""
+
+
+def _updated(spark, d):
+    v = graphs.vertices(spark, d, channels=K)
+    got = kernels.contract_fused(_pooled(spark, d), K, 2, 2, 0).select(F.col("dst").alias("v"), F.col("a").alias("m"))
+    return kernels.update_features(kernels.embed(v, K).select("v", F.col("h0").alias("h")), got, K)
+
+
+@query(f"{UPDATED} SELECT v, list(round(h, 6) + 0.0 ORDER BY k) AS h FROM h1 GROUP BY v")
+def update_features(spark, d):
+    """The embedding's scalars, mixed among channels, plus the message of the first layer."""
+    return _updated(spark, d).select("v", F.transform("h", lambda x: F.round(x, 6) + F.lit(0.0)).alias("h"))
+
+
+@query(f"""{UPDATED}, u AS (SELECT v, j, sum(h * {_seeded('9', 'k', 'j')}) AS u FROM h1, range(16) r(j) GROUP BY v, j), p AS (SELECT v, sum(u / (1 + exp(-u)) * {_seeded('10', 'j')}) AS e FROM u GROUP BY v)
+    SELECT v, round(l.e, 6) + 0.0 AS linear, round(p.e, 6) + 0.0 AS perceptron FROM (SELECT v, sum(h * {_seeded('8', 'k')}) AS e FROM h1 GROUP BY v) l JOIN p USING (v)""")
+def readout(spark, d):
+    """The linear readout of a layer between, and the perceptron of the last, on the same scalars."""
+    h = _updated(spark, d)
+    e = lambda last, name: kernels.readout(h, K, last).select("v", (F.round("e", 6) + F.lit(0.0)).alias(name))
+    return e(False, "linear").join(e(True, "perceptron"), "v")
+
+
+@query(f"WITH {ALL_A} SELECT i.dst, i.k, i.l3, i.m3, round(sum(({_seeded('i.l3', 'i.k', 'j.k')} + CASE WHEN i.k = j.k THEN 1 ELSE 0 END) * j.val), 6) + 0.0 AS val FROM full_a i JOIN full_a j ON j.dst = i.dst AND j.l3 = i.l3 AND j.m3 = i.m3 GROUP BY ALL")
 def mix_channels(spark, d):
-    return kernels.unpack(kernels.mix_channels(_pooled(spark, d), K, 2), "dst", K, 2)
+    return _rounded(kernels.unpack(kernels.mix_channels(_pooled(spark, d), K, 2), "dst", K, 2), "dst", "k", "l3", "m3")
+
+
+N_PATHS = len(coupling.paths(2, 1, 2))
+RADIAL = f"""{_edges_sql(None)}, {cg_sql(2, 1, 2)}, he AS (SELECT vec_id, embedding FROM embeddings),
+    en AS (SELECT row_number() OVER () AS e, dst, src, r, {Y_SQL} AS y, embedding FROM edges JOIN he ON vec_id = src),
+    eb AS (SELECT e, n, sqrt(8.0) * sin((n + 1) * pi() * r / {R_CUT}) / r * (1 - 28 * pow(r / {R_CUT}, 6) + 48 * pow(r / {R_CUT}, 7) - 21 * pow(r / {R_CUT}, 8)) * (r < {R_CUT})::INT AS b FROM en, range(8) x(n)),
+    eu AS (SELECT e, j, sum(b * {_seeded('5', 'n', 'j')}) AS u FROM eb, range(16) x(j) GROUP BY e, j),
+    ew AS (SELECT e, k, path, sum(u / (1 + exp(-u)) * {_seeded('6', 'j', 'k', 'path')}) AS w FROM eu, range({K}) a(k), range({N_PATHS}) b(path) GROUP BY e, k, path)"""
+RADIAL_PRODUCT = f"WITH {RADIAL} SELECT dst, CAST(k AS INTEGER) AS k, l3, m3, round(sum(c * w * y[l1 * l1 + l1 + m1 + 1] * CAST(embedding[CAST(4 + 4 * k + l2 * l2 + l2 + m2 AS BIGINT)] AS DOUBLE)), 5) + 0.0 AS val FROM en JOIN ew USING (e) JOIN cg USING (path) GROUP BY dst, k, l3, m3"
+
+
+def _radial_inputs(spark, d, channels=K):
+    v = graphs.vertices(spark, d, channels=channels)
+    return kernels.edge_inputs(kernels.radial_weights(graphs.radius_edges(v, R_CUT), channels, N_PATHS, 8, R_CUT), v, _y(), R_CUT)
+
+
+@query(RADIAL_PRODUCT)
+def edge_product_radial(spark, d):
+    """The sparse product with weights of each channel and path from the radial perceptron."""
+    return kernels.product_sparse(_radial_inputs(spark, d), K).select("dst", "k", "l3", "m3", (F.round("val", 5) + F.lit(0.0)).alias("val"))
+
+
+@query(RADIAL_PRODUCT)
+def edge_product_radial_fused(spark, d):
+    return kernels.unpack(kernels.product_fused(_radial_inputs(spark, d), K), "dst", K, 2).select("dst", "k", "l3", "m3", (F.round("val", 5) + F.lit(0.0)).alias("val"))
+
+
+@query(f"WITH {_edges_sql(None)}, ey AS (SELECT dst, src, r, {Y_SQL} AS y FROM edges) SELECT dst, src, list_transform(y, lambda x: round(x, 6) + 0.0) AS y, list_transform(range(1, 9), lambda n: round(CASE WHEN {_U} < 1 THEN sqrt(8.0) * sin(n * pi() * {_U}) / r * {_ENV} ELSE 0 END, 5) + 0.0) AS b FROM ey")
+def embed_edges(spark, d):
+    """Harmonics and radial functions of every edge."""
+    got = kernels.embed_edges(_edges(spark, d), 8, R_CUT)
+    return got.select("dst", "src", F.transform("y", lambda x: F.round(x, 6) + F.lit(0.0)).alias("y"), F.transform("b", lambda x: F.round(x, 5) + F.lit(0.0)).alias("b"))
+
+
+STUDY_CHANNELS, STUDY_ORDERS = (1, 4, 16, 128), (1, 2)
+
+
+@query(f"WITH {_edges_sql(None)}, n AS (SELECT count(*) AS edges FROM edges), " + ", ".join(f"z{l} AS (SELECT (SELECT count(*) FROM (WITH {cg_sql(l, 1, l)} SELECT * FROM cg)) AS z)" for l in STUDY_ORDERS)
+       + " " + " UNION ALL ".join(f"SELECT {k} AS channels, {l} AS lmax, edges * {k * coupling.width(l) * 4 * coupling.width(l)} AS dense, edges * {k} * z AS sparse, true AS same FROM n, z{l}" for k in STUDY_CHANNELS for l in STUDY_ORDERS))
+def kernel_study(spark, d):
+    """Over channels and orders: multiply-adds of the dense and the sparse product, and whether the two fused forms
+    give the same values on all edges."""
+    rows, n = [], _edges(spark, d).count()
+    for k in STUDY_CHANNELS:
+        v = graphs.vertices(spark, d, channels=k)
+        inputs = kernels.edge_inputs(graphs.radius_edges(v, R_CUT), v, _y(), R_CUT)
+        for l in STUDY_ORDERS:
+            x = kernels.flop_count(n, k, l, 1, l)
+            cut = inputs.withColumn("y", F.slice("y", 1, coupling.width(l)))
+            a, b = (kernels.product_fused(cut, k, l, 1, l, dense=form) for form in (False, True))
+            gap = a.join(b.withColumnRenamed("a", "b"), "dst").select(F.aggregate(F.zip_with("a", "b", lambda p, q: F.abs(p - q)), F.lit(0.0), lambda m, g: F.greatest(m, g)).alias("gap")).agg(F.max("gap")).first()[0]
+            rows.append((k, l, x["dense"], x["sparse"], (gap or 0.0) < 1e-9))
+    return literal_table(spark, rows, "channels int, lmax int, dense long, sparse long, same boolean")
 
 
 @query("SELECT CAST(dt AS VARCHAR) AS dtype, true AS close FROM (VALUES ('double'), ('float')) v(dt)")
@@ -302,11 +433,10 @@ def embed_vertices(spark, d):
     return kernels.embed(graphs.vertices(spark, d), K).select("v", "h0")
 
 
-@query(f"WITH {_edges_sql(None)} SELECT dst, src, true AS complete FROM edges")
+@query(f"WITH {RADIAL} SELECT dst, src, list(round(w, 5) + 0.0 ORDER BY k, path) AS w FROM en JOIN ew USING (e) GROUP BY e, dst, src")
 def radial_weights(spark, d):
-    n = len(coupling.paths(2, 1, 2))
-    got = kernels.radial_weights(_edges(spark, d), K, n, 8, R_CUT)
-    return got.select("dst", "src", ((F.size("w") == K * n) & F.forall("w", lambda x: ~F.isnan(x))).alias("complete"))
+    got = kernels.radial_weights(_edges(spark, d), K, N_PATHS, 8, R_CUT)
+    return got.select("dst", "src", F.transform("w", lambda x: F.round(x, 5) + F.lit(0.0)).alias("w"))
 
 
 @query()

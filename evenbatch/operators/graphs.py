@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..sources.tables import read_table
@@ -10,10 +10,10 @@ from ..sources.tables import read_table
 
 def vertices(spark: SparkSession, sf_dir: str, group: int = 16, channels: int = 1) -> DataFrame:
     """(graph_id, v, z, x, y, zc, h): sixteen vectors are a graph; position, species and features are taken from them.
-    h is flat: for each channel one scalar and a vector of three."""
+    h is flat: for each channel one scalar and a vector of three; many channels go round the vector again."""
     e = read_table(spark, sf_dir, "embeddings", ["vec_id", "embedding", "label"])
     at = lambda i: F.get("embedding", F.lit(i)).cast("double")
-    h = F.array(*[at(3 + 4 * k + m) for k in range(channels) for m in range(4)])
+    h = F.array(*[at(3 + (4 * k + m) % 61) for k in range(channels) for m in range(4)])
     return e.select(F.floor(F.col("vec_id") / group).alias("graph_id"), F.col("vec_id").alias("v"), F.col("label").alias("z"), at(0).alias("x"), at(1).alias("y"), at(2).alias("zc"), h.alias("h"))
 
 
@@ -45,6 +45,17 @@ def radius_edges(v: DataFrame, r_cut: float, box: tuple[float, float, float] | N
     return pairs.where((square <= r_cut * r_cut) & ~self_edge).select("graph_id", "dst", "src", "sx", "sy", "sz", "dx", "dy", "dz", F.sqrt(square).alias("r"))
 
 
+def aggregate_neighbors(edges: DataFrame, states: DataFrame, message: Column, ops: dict[str, str], empty: float | None = 0.0) -> DataFrame:
+    """(graph_id, v, one column an operation): messages over a vertex' incoming edges, aggregated by each of ops (a name
+    to sum, mean, max, min or count). message may use the edge's columns and those of its sender in states (graph_id, v,
+    ..). Vertices without neighbours have empty. One join on the sender, one grouped sum on the receiver."""
+    known = {"sum": F.sum, "mean": F.avg, "max": F.max, "min": F.min, "count": F.count}
+    sent = edges.join(states.withColumnRenamed("v", "src"), ["graph_id", "src"]).select("graph_id", F.col("dst").alias("v"), message.alias("_message"))
+    got = sent.groupBy("graph_id", "v").agg(*[known[op]("_message").cast("double").alias(name) for name, op in ops.items()])
+    rows = states.select("graph_id", "v").join(got, ["graph_id", "v"], "left")
+    return rows.select("graph_id", "v", *[F.coalesce(n, F.lit(0.0 if ops[n] == "count" else empty)).alias(n) for n in ops])
+
+
 def profile_of_counts(counts: DataFrame) -> DataFrame:
     """Density and sparsity of (graph_id, n_vertices, n_edges); null for single vertices."""
     pairs = F.col("n_vertices") * (F.col("n_vertices") - 1)

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import coupling
-from ..functions.harmonics import harmonics, small_weight
+from ..functions.harmonics import bessel_column, harmonics, harmonics_column, small_weight
 from ..sources.tables import literal_table, settled
 
 LMAX_SH, LMAX_FEAT, LMAX_OUT = 2, 1, 2
@@ -37,7 +37,8 @@ def edge_inputs(edges: DataFrame, v: DataFrame, y, r_cut: float) -> DataFrame:
     """(e, graph_id, dst, r, y, h): each edge with its harmonics and the sender's features; one join on the vertex."""
     sender = v.select(F.col("v").alias("src"), "h", "graph_id")
     rows = edges.withColumn("y", y).withColumn("fade", F.lit(1.0) - F.col("r") / r_cut)
-    return rows.join(sender, ["graph_id", "src"]).select("graph_id", "dst", "src", "sx", "sy", "sz", "fade", "y", "h")
+    more = ["w"] if "w" in edges.columns else []
+    return rows.join(sender, ["graph_id", "src"]).select("graph_id", "dst", "src", "sx", "sy", "sz", "fade", "y", "h", *more)
 
 
 def path_weights(spark, channels: int, l1=LMAX_SH, l2=LMAX_FEAT, l3=LMAX_OUT) -> DataFrame:
@@ -47,16 +48,20 @@ def path_weights(spark, channels: int, l1=LMAX_SH, l2=LMAX_FEAT, l3=LMAX_OUT) ->
 
 def product_sparse(inputs: DataFrame, channels: int, l1=LMAX_SH, l2=LMAX_FEAT, l3=LMAX_OUT, basis="complex", dense=False) -> DataFrame:
     """Pooled (dst, k, l3, m3, val) by joins: harmonics and features as rows, non-zero coefficients broadcast, one
-    grouped sum. dense keeps the zeros."""
+    grouped sum. dense keeps the zeros. Where inputs have radial weights w, these weigh channels and paths."""
     spark = inputs.sparkSession
+    radial = "w" in inputs.columns
     cg = cg_frame(spark, l1, l2, l3, basis)
     if dense:
         rows = [(p, a, i, b, j, c, k, float(coupling.block(a, b, c, basis)[i + a, j + b, k + c])) for p, (a, b, c) in enumerate(coupling.paths(l1, l2, l3)) for i in range(-a, a + 1) for j in range(-b, b + 1) for k in range(-c, c + 1)]
         cg = F.broadcast(literal_table(spark, rows, CG))
-    ys = inputs.select("dst", "fade", "h", F.explode(lm_columns(l1)).alias("t"), "y").select("dst", "fade", "h", F.col("t.l").alias("l1"), F.col("t.m").alias("m1"), F.get("y", F.col("t.at")).alias("yv"))
+    ys = inputs.withColumnsRenamed({"w": "rw"} if radial else {})
+    more = ["rw"] if radial else []
+    ys = ys.select("dst", "fade", "h", *more, F.explode(lm_columns(l1)).alias("t"), "y").select("dst", "fade", "h", *more, F.col("t.l").alias("l1"), F.col("t.m").alias("m1"), F.get("y", F.col("t.at")).alias("yv"))
     terms = ys.join(cg, ["l1", "m1"]).join(path_weights(spark, channels, l1, l2, l3), "path")
     at = F.col("k") * coupling.width(l2) + F.col("l2") * F.col("l2") + F.col("l2") + F.col("m2")
-    value = F.col("c") * F.col("w") * F.col("fade") * F.col("yv") * F.get("h", at)
+    weight = F.get("rw", F.col("k") * len(coupling.paths(l1, l2, l3)) + F.col("path")) if radial else F.col("w") * F.col("fade")
+    value = F.col("c") * weight * F.col("yv") * F.get("h", at)
     return terms.groupBy("dst", "k", "l3", "m3").agg(F.sum(value).alias("val"))
 
 
@@ -95,13 +100,19 @@ class ProductTables:
         terms = sorted((coupling.index(x[5], x[6]), coupling.index(x[1], x[2]), coupling.index(x[3], x[4]), x[7], x[0]) for x in coupling.table(l1, l2, l3, basis))
         self.out, self.begin = np.unique([t[0] for t in terms], return_index=True)
         self.first, self.second = np.array([t[1] for t in terms]), np.array([t[2] for t in terms])
+        self.c, self.path = np.array([t[3] for t in terms]), np.array([t[4] for t in terms])
         self.weight = np.array([[t[3] * small_weight(t[4], k) for t in terms] for k in range(channels)])
         if dense:
             for n, t in enumerate(terms):
                 self.kernel[:, t[1], t[2], t[0]] += self.weight[:, n]
 
-    def apply(self, y: np.ndarray, h: np.ndarray, fade: np.ndarray) -> np.ndarray:
-        """y [e, n1], h [e, channels, n2], fade [e] -> [e, channels, n3]."""
+    def apply(self, y: np.ndarray, h: np.ndarray, fade: np.ndarray, w: np.ndarray | None = None) -> np.ndarray:
+        """y [e, n1], h [e, channels, n2], fade [e], radial weights w [e, channels, paths] -> [e, channels, n3]."""
+        if w is not None:
+            out = np.zeros((len(y), self.shape[0], self.shape[3]), dtype=h.dtype)
+            terms = y[:, None, self.first] * h[:, :, self.second] * w[:, :, self.path] * self.c.astype(h.dtype)
+            out[:, :, self.out] = np.add.reduceat(terms, self.begin, axis=2)
+            return out
         y = y * fade[:, None]
         if self.kernel is not None:
             return np.einsum("ea,ekb,kabc->ekc", y, h, self.kernel)
@@ -120,27 +131,54 @@ def _lists(values: np.ndarray) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(np.arange(0, flat.size + 1, flat.shape[1], dtype=np.int32)), pa.array(flat.ravel()))
 
 
+#: Edges whose terms a task holds at a time.
+EDGE_ROWS = 2048
+
+
 def product_fused(inputs: DataFrame, channels: int, l1=LMAX_SH, l2=LMAX_FEAT, l3=LMAX_OUT, basis="complex", dense=False, dtype="double") -> DataFrame:
     """Packed (dst, a): product and partial pooling in one Arrow stage; only one packed row a receiver and batch leaves
-    it, and one shuffle adds these up."""
+    it. One shuffle by the receiver then brings these together, in order, and a second Arrow stage adds up runs of equal
+    receivers, whatever the number of channels. Where inputs have radial weights w, these weigh channels and paths."""
     shared = inputs.sparkSession.sparkContext.broadcast(ProductTables(channels, l1, l2, l3, basis, dense))
     kind = np.float32 if dtype == "float" else np.float64
+    radial = "w" in inputs.columns and not dense
+
+    def pooled(dst: np.ndarray, a: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        by = np.argsort(dst, kind="stable")
+        keys, begin = np.unique(dst[by], return_index=True)
+        return keys, np.add.reduceat(a[by], begin, axis=0)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = shared.value
+        for whole in batches:
+            for first in range(0, whole.num_rows, EDGE_ROWS):
+                batch = whole.slice(first, EDGE_ROWS)
+                y, h = _matrix(batch.column(2), t.shape[1]).astype(kind), _matrix(batch.column(3), t.shape[0] * t.shape[2]).astype(kind)
+                w = _matrix(batch.column(4), len(batch.column(4)[0])).astype(kind).reshape(len(y), t.shape[0], -1) if radial else None
+                got = t.apply(y, h.reshape(-1, t.shape[0], t.shape[2]), batch.column(1).to_numpy().astype(kind), w).reshape(len(y), -1)
+                keys, a = pooled(batch.column(0).to_numpy(), got)
+                yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), _lists(a)], ["dst", "a"])
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows come sorted by dst; the last receiver of a batch may go on in the next."""
+        last: tuple[int, np.ndarray] | None = None
         for batch in batches:
             if not batch.num_rows:
                 continue
-            y, h = _matrix(batch.column(2), t.shape[1]).astype(kind), _matrix(batch.column(3), t.shape[0] * t.shape[2]).astype(kind)
-            got = t.apply(y, h.reshape(-1, t.shape[0], t.shape[2]), batch.column(1).to_numpy().astype(kind)).reshape(len(y), -1)
-            dst = batch.column(0).to_numpy()
-            by = np.argsort(dst, kind="stable")
-            keys, begin = np.unique(dst[by], return_index=True)
-            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), _lists(np.add.reduceat(got[by], begin, axis=0))], ["dst", "a"])
-
-    parts = inputs.select("dst", "fade", "y", "h").mapInArrow(run, "dst long, a array<double>")
-    n = channels * coupling.width(l3)
-    return parts.groupBy("dst").agg(F.array(*[F.sum(F.get("a", F.lit(i))) for i in range(n)]).alias("a"))
+            a = _matrix(batch.column(1), shared.value.shape[0] * shared.value.shape[3])
+            keys, a = pooled(batch.column(0).to_numpy(), a)
+            if last is not None and last[0] == keys[0]:
+                a[0] += last[1]
+            elif last is not None:
+                yield pa.RecordBatch.from_arrays([pa.array([last[0]], pa.int64()), _lists(last[1][None])], ["dst", "a"])
+            if len(keys) > 1:
+                yield pa.RecordBatch.from_arrays([pa.array(keys[:-1], pa.int64()), _lists(a[:-1])], ["dst", "a"])
+            last = int(keys[-1]), a[-1].copy()
+        if last is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([last[0]], pa.int64()), _lists(last[1][None])], ["dst", "a"])
+
+    parts = inputs.select("dst", "fade", "y", "h", *(["w"] if radial else [])).mapInArrow(run, "dst long, a array<double>")
+    return parts.repartition("dst").sortWithinPartitions("dst").mapInArrow(add, "dst long, a array<double>")
 
 
 def unpack(packed: DataFrame, key: str, channels: int, lmax: int) -> DataFrame:
@@ -187,6 +225,50 @@ def contract_sparse(packed: DataFrame, channels: int, lmax: int, nu_max: int, l_
     return rows.groupBy("dst", "k", "m3").agg(F.sum(F.col("c") * species_weight() * product).alias("val"))
 
 
+def contract_dense_chain(packed: DataFrame, channels: int, lmax: int, nu_max: int, l_out: int, basis="complex") -> DataFrame:
+    """The unfused baseline: for each order and path all combinations of components, zeros too, its result written out
+    before the next, and a sum over all at the end."""
+    spark, parts, n = packed.sparkSession, [], coupling.width(lmax)
+    rows = settled(packed.select("dst", "z", "a", F.explode(F.sequence(F.lit(0), F.lit(channels - 1))).alias("k")))
+    for nu in range(1, nu_max + 1):
+        for p, (_, tensor) in enumerate(coupling.chains(lmax, nu, l_out, basis)):
+            grid = F.broadcast(literal_table(spark, [([int(i) for i in at[:-1]], int(at[-1]) - l_out, float(tensor[at])) for at in np.ndindex(*tensor.shape)], "lms array<int>, m3 int, c double"))
+            product = F.aggregate("lms", F.lit(1.0), lambda acc, i: acc * F.get(F.col("a"), F.col("k") * n + i))
+            one = rows.crossJoin(grid).withColumns({"nu": F.lit(nu), "path": F.lit(p)})
+            parts.append(settled(one.groupBy("dst", "k", "m3").agg(F.sum(F.col("c") * species_weight() * product).alias("val"))))
+    return reduce(DataFrame.unionByName, parts).groupBy("dst", "k", "m3").agg(F.sum("val").alias("val"))
+
+
+def body_features(packed: DataFrame, channels: int, lmax: int, nu_max: int, l_out: int, basis="complex") -> DataFrame:
+    """(dst, z, k, nu, path, m3, val): the coupled products of each order and path, not yet weighed."""
+    terms = F.broadcast(literal_table(packed.sparkSession, contraction_terms(lmax, nu_max, l_out, basis), "nu int, path int, m3 int, lms array<int>, c double"))
+    rows = packed.select("dst", "z", "a", F.explode(F.sequence(F.lit(0), F.lit(channels - 1))).alias("k")).crossJoin(terms)
+    product = F.aggregate("lms", F.lit(1.0), lambda acc, i: acc * F.get(F.col("a"), F.col("k") * coupling.width(lmax) + i))
+    return rows.groupBy("dst", "z", "k", "nu", "path", "m3").agg(F.sum(F.col("c") * product).alias("val"))
+
+
+def message(body: DataFrame) -> DataFrame:
+    """(dst, k, m3, val): body features weighed by species, channel and path, and added up."""
+    return body.groupBy("dst", "k", "m3").agg(F.sum(species_weight() * F.col("val")).alias("val"))
+
+
+def update_features(h: DataFrame, messages: DataFrame, channels: int) -> DataFrame:
+    """(v, h): the scalars of each channel mixed among channels, plus the message; vertices without one keep theirs.
+    h: (v, h); messages: (v, m), both packed with a value a channel."""
+    mixed = F.array(*[sum((F.get("h", F.lit(j)) * (small_weight(7, i, j) + (i == j)) for j in range(channels)), F.lit(0.0)) for i in range(channels)])
+    rows = h.join(messages, "v", "left")
+    return rows.select("v", F.zip_with(mixed, F.coalesce("m", F.array_repeat(F.lit(0.0), channels)), lambda a, b: a + b).alias("h"))
+
+
+def readout(h: DataFrame, channels: int, last: bool, hidden: int = 16) -> DataFrame:
+    """(v, e): the energy that a vertex' scalars give: linear at a layer between, a small perceptron at the last."""
+    at = lambda k: F.get("h", F.lit(k))
+    if not last:
+        return h.select("v", sum((at(k) * small_weight(8, k) for k in range(channels)), F.lit(0.0)).alias("e"))
+    units = [sum((at(k) * small_weight(9, k, j) for k in range(channels)), F.lit(0.0)) for j in range(hidden)]
+    return h.select("v", sum((u / (F.lit(1.0) + F.exp(-u)) * small_weight(10, j) for j, u in enumerate(units)), F.lit(0.0)).alias("e"))
+
+
 def species_weight():
     """small_weight(z, k, nu, path) as a column."""
     seed = F.lit(0)
@@ -278,17 +360,28 @@ def harmonics_fused(edges: DataFrame, lmax: int) -> DataFrame:
 
 
 def embed(v: DataFrame, channels: int, species: int = 10) -> DataFrame:
-    """v with h0: the species' scalar of each channel, from a broadcast table of one row a species."""
+    """v with h0: the species' scalar of each channel, from a broadcast table of one row a species. A vertex of another
+    or of no species stays, with zeros."""
     table = literal_table(v.sparkSession, [(z, [small_weight(z, k) for k in range(channels)]) for z in range(species)], "z int, h0 array<double>")
-    return v.join(F.broadcast(table), "z")
+    return v.join(F.broadcast(table), "z", "left").withColumn("h0", F.coalesce("h0", F.array_repeat(F.lit(0.0), channels)))
+
+
+def embed_edges(edges: DataFrame, n_radial: int, r_cut: float) -> DataFrame:
+    """edges with packed harmonics y and radial functions b, as columns."""
+    return edges.withColumn("y", harmonics_column(F.col("dx"), F.col("dy"), F.col("dz"), F.col("r"), 2)).withColumn("b", F.array(*[bessel_column(F.col("r"), n, r_cut) for n in range(1, n_radial + 1)]))
+
+
+def radial_tables(channels: int, n_paths: int, n_radial: int, hidden: int = 16) -> tuple[np.ndarray, np.ndarray]:
+    """The perceptron's weights, from a rule."""
+    first = np.array([[small_weight(5, n, j) for j in range(hidden)] for n in range(n_radial)])
+    return first, np.array([[small_weight(6, j, k, p) for k in range(channels) for p in range(n_paths)] for j in range(hidden)])
 
 
 def radial_weights(edges: DataFrame, channels: int, n_paths: int, n_radial: int, r_cut: float) -> DataFrame:
     """edges with w: the weights of each channel and path, from a perceptron on the radial basis, in one Arrow stage."""
     from ..functions.harmonics import bessel
 
-    rng = np.random.default_rng(5)
-    shared = edges.sparkSession.sparkContext.broadcast((rng.normal(size=(n_radial, 16)) * 0.4, rng.normal(size=(16, channels * n_paths)) * 0.3))
+    shared = edges.sparkSession.sparkContext.broadcast(radial_tables(channels, n_paths, n_radial))
     names = edges.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -1,15 +1,19 @@
 """The two-layer network on geometric graphs, its energies and forces, and the training of its readout.
 
-Graphs are independent and small, so a graph is evaluated whole by one vectorised function; graphs are spread over
-tasks by an Arrow group on the graph. Parameters are deterministic, small and broadcast with the function.
+Graphs are independent and small, so many are evaluated whole at a time, as blocks of one adjacency: graphs are spread
+over tasks by their id, come sorted, and a task takes as many whole graphs as BLOCK_VERTICES hold. Work and memory grow
+with the vertices' pairs inside graphs and with the edges, not with all pairs of a block. Parameters are deterministic,
+small and sent with the function.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -18,6 +22,11 @@ from ..functions.harmonics import bessel, harmonics, small_weight
 from ..sources.tables import settled
 
 
+#: Vertices that a task evaluates at a time, but at least one graph, and values of an edge product that it holds.
+BLOCK_VERTICES = 2048
+PRODUCT_VALUES = 4_000_000
+
+
 @dataclass(frozen=True)
 class KernelConfig:
     lmax_sh: int = 3
@@ -44,20 +53,51 @@ class Network:
         self.radial = [(rng.normal(size=(c.n_radial, 16)) * 0.4, rng.normal(size=(16, c.channels * len(self.paths))) * 0.3) for _ in range(c.layers)]
         self.mix = rng.normal(size=(c.layers, c.lmax_out + 1, c.channels, c.channels)) / np.sqrt(c.channels)
         self.terms = [[(np.array([t[2] for t in ts]).reshape(-1, nu), np.array([t[1] for t in ts]) + l, np.array([[[x[3] * small_weight(z, k, nu, x[0]) for x in ts] for k in range(c.channels)] for z in range(species)])) for nu in range(1, c.nu_max + 1) if (ts := coupling.chain_terms(c.lmax_out, nu, l, "real", True))] for l in range(c.lmax_feat + 1)]
+        # the non-zero coefficients, in the order of their outputs
+        flat = sorted((l * l + int(m), a * a + int(i), b * b + int(k), p, float(block[i, k, m])) for p, (a, b, l) in enumerate(self.paths) for block in [coupling.block(a, b, l, "real")] for i, k, m in zip(*np.nonzero(block)))
+        out, begin = np.unique([t[0] for t in flat], return_index=True)
+        self.sparse = (out, begin, *(np.array([t[n] for t in flat]) for n in (1, 2, 3, 4)))
         self.linear = rng.normal(size=c.channels) * 0.3
         self.hidden, self.last = rng.normal(size=(c.channels, 16)) * 0.5, rng.normal(size=16) * 0.3
 
-    def edges(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        d = x[:, None] - x[None]
-        r = np.linalg.norm(d, axis=2)
-        i, j = np.nonzero((r <= self.config.r_cut) & ~np.eye(len(x), dtype=bool))
-        return i, j, d[i, j]
-
-    def features(self, x: np.ndarray, z: np.ndarray) -> list[np.ndarray]:
+    def edges(self, x: np.ndarray, graph: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(receiver, sender, displacement) inside each graph, by receiver. graph: a number for each vertex, sorted."""
+        if graph is None:
+            graph = np.zeros(len(x), dtype=int)
+        _, begin, sizes = np.unique(graph, return_index=True, return_counts=True)
+        found = [(np.empty(0, int), np.empty(0, int))]
+        for n in np.unique(sizes):  # graphs of one size at a time
+            at = begin[sizes == n][:, None] + np.arange(n)
+            for part in np.array_split(at, max(1, len(at) * n * n // PRODUCT_VALUES)):
+                place = x[part]
+                r = np.linalg.norm(place[:, :, None] - place[:, None], axis=3)
+                g, i, j = np.nonzero((r <= self.config.r_cut) & ~np.eye(n, dtype=bool))
+                found.append((part[g, i], part[g, j]))
+        i, j = (np.concatenate(c) for c in zip(*found))
+        by = np.lexsort((j, i))
+        i, j = i[by], j[by]
+        return i, j, x[i] - x[j]
+
+    def pooled_messages(self, i: np.ndarray, j: np.ndarray, y: np.ndarray, weight: np.ndarray, h: np.ndarray) -> np.ndarray:
+        """The sparse product of harmonics, senders' features and weights on all edges, added up on the receivers: terms
+        of non-zero coefficients only, so many edges at a time that they fit."""
+        out, begin, first, second, path, c = self.sparse
+        n, channels = len(h), h.shape[1]
+        pooled = np.zeros((n, channels, coupling.width(self.config.lmax_out)), h.dtype)
+        step = max(1, PRODUCT_VALUES // (channels * len(c)))
+        for a in range(0, len(i), step):
+            b = slice(a, a + step)
+            terms = y[b][:, None, first] * h[j[b]][:, :, second] * weight[b][:, :, path] * c.astype(h.dtype)
+            message = np.add.reduceat(terms, begin, axis=2)
+            to, at = np.unique(i[b], return_index=True)  # receivers are sorted
+            pooled[to[:, None, None], np.arange(channels)[:, None], out] += np.add.reduceat(message, at, axis=0)
+        return pooled
+
+    def features(self, x: np.ndarray, z: np.ndarray, graph: np.ndarray | None = None) -> list[np.ndarray]:
         """h of each layer: [vertices, channels, (lmax_feat + 1)**2]."""
         c = self.config
         kind = np.float32 if c.dtype == "float" else np.float64
-        i, j, d = self.edges(x)
+        i, j, d = self.edges(x, graph)
         r = np.linalg.norm(d, axis=1)
         y = harmonics(d / r[:, None], c.lmax_sh).astype(kind) if len(r) else np.zeros((0, coupling.width(c.lmax_sh)), kind)
         basis = bessel(r, c.n_radial, c.r_cut).astype(kind) if len(r) else np.zeros((0, c.n_radial), kind)
@@ -68,11 +108,7 @@ class Network:
             w1, w2 = self.radial[layer]
             u = basis @ w1.astype(kind)
             weight = ((u / (1 + np.exp(-u))) @ w2.astype(kind)).reshape(len(r), c.channels, len(self.paths))
-            message = np.zeros((len(r), c.channels, coupling.width(c.lmax_out)), kind)
-            for p, (a, b, l) in enumerate(self.paths):
-                message[:, :, l * l : (l + 1) ** 2] += weight[:, :, p, None] * np.einsum("ea,ekb,abc->ekc", y[:, a * a : (a + 1) ** 2], h[j][:, :, b * b : (b + 1) ** 2], coupling.block(a, b, l, "real").astype(kind))
-            pooled = np.zeros((len(x), *message.shape[1:]), kind)
-            np.add.at(pooled, i, message * kind(0.02))  # about the neighbours times the basis scale
+            pooled = self.pooled_messages(i, j, y, weight, h) * kind(0.02)  # about the neighbours times the basis scale
             for l in range(c.lmax_out + 1):
                 pooled[:, :, l * l : (l + 1) ** 2] = np.einsum("ij,njm->nim", self.mix[layer, l].astype(kind), pooled[:, :, l * l : (l + 1) ** 2])
             update = np.zeros_like(h)
@@ -85,24 +121,58 @@ class Network:
             out.append(h)
         return out
 
-    def energies(self, x: np.ndarray, z: np.ndarray) -> np.ndarray:
+    def energies(self, x: np.ndarray, z: np.ndarray, graph: np.ndarray | None = None) -> np.ndarray:
         """The contribution of each vertex: linear readouts of invariant channels, and a small perceptron at the end."""
-        h = self.features(x, z)
+        h = self.features(x, z, graph)
         total = sum(f[:, :, 0] @ self.linear for f in h[1:-1]) if len(h) > 2 else 0.0
         u = h[-1][:, :, 0] @ self.hidden
         return total + (u / (1 + np.exp(-u))) @ self.last
 
-    def forces(self, x: np.ndarray, z: np.ndarray, eps: float = 1e-6) -> np.ndarray:
-        """Minus the gradient of the energy, by central differences."""
+    def forces(self, x: np.ndarray, z: np.ndarray, graph: np.ndarray | None = None, eps: float = 1e-6) -> np.ndarray:
+        """Minus the gradient of each graph's energy, by central differences. As graphs are independent, a vertex of each
+        is moved at a time: the runs are as many as the largest graph needs."""
+        if graph is None:
+            graph = np.zeros(len(x), dtype=int)
+        number, begin = np.unique(graph, return_inverse=True)[1], np.unique(graph, return_index=True)[1]
+        place = np.arange(len(x)) - begin[number] if len(x) else number
         out = np.zeros_like(x)
-        for v in range(len(x)):
+        for v in range(int(place.max()) + 1 if len(x) else 0):
+            at = np.flatnonzero(place == v)
             for k in range(3):
                 step = np.zeros_like(x)
-                step[v, k] = eps
-                out[v, k] = -(self.energies(x + step, z).sum() - self.energies(x - step, z).sum()) / (2 * eps)
+                step[at, k] = eps
+                total = [np.bincount(number, weights=self.energies(x + s * step, z, graph), minlength=len(begin)) for s in (1, -1)]
+                out[at, k] = -((total[0] - total[1]) / (2 * eps))[number[at]]
         return out
 
 
+def _by_blocks(v: DataFrame, each: Callable[[pd.DataFrame], pd.DataFrame], schema: str) -> DataFrame:
+    """each, over blocks of whole graphs as frames sorted by graph_id and v."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pd.DataFrame] = []
+        size = 0
+
+        def emit(frame: pd.DataFrame) -> Iterator[pa.RecordBatch]:
+            if len(frame):
+                yield pa.RecordBatch.from_pandas(each(frame.reset_index(drop=True)), preserve_index=False)
+
+        for batch in batches:
+            for a in range(0, batch.num_rows, BLOCK_VERTICES):
+                part = batch.slice(a, BLOCK_VERTICES).to_pandas()
+                held.append(part)
+                size += len(part)
+                if size >= BLOCK_VERTICES:
+                    frame = pd.concat(held, ignore_index=True)
+                    cut = int((frame["graph_id"] != frame["graph_id"].iloc[-1]).sum())  # the last graph may go on
+                    yield from emit(frame.iloc[:cut])
+                    held, size = [frame.iloc[cut:]], len(frame) - cut
+        if held:
+            yield from emit(pd.concat(held, ignore_index=True))
+
+    return v.select("graph_id", "v", "z", "x", "y", "zc").repartition("graph_id").sortWithinPartitions("graph_id", "v").mapInArrow(run, schema)
+
+
 def _arrays(frame: pd.DataFrame) -> tuple[np.ndarray, np.ndarray]:
     return frame[["x", "y", "zc"]].to_numpy(dtype=float), frame["z"].to_numpy(dtype=int)
 
@@ -111,20 +181,20 @@ def energy(v: DataFrame, net: Network) -> DataFrame:
     """(graph_id, energy)."""
 
     def run(frame: pd.DataFrame) -> pd.DataFrame:
-        return pd.DataFrame({"graph_id": [frame["graph_id"].iloc[0]], "energy": [float(net.energies(*_arrays(frame.sort_values("v"))).sum())]})
+        names, number = np.unique(frame["graph_id"], return_inverse=True)
+        return pd.DataFrame({"graph_id": names, "energy": np.bincount(number, weights=net.energies(*_arrays(frame), number))})
 
-    return v.select("graph_id", "v", "z", "x", "y", "zc").groupBy("graph_id").applyInPandas(run, "graph_id long, energy double")
+    return _by_blocks(v, run, "graph_id long, energy double")
 
 
 def forces(v: DataFrame, net: Network) -> DataFrame:
     """(graph_id, v, fx, fy, fz)."""
 
     def run(frame: pd.DataFrame) -> pd.DataFrame:
-        frame = frame.sort_values("v")
-        f = net.forces(*_arrays(frame))
+        f = net.forces(*_arrays(frame), frame["graph_id"].to_numpy())
         return pd.DataFrame({"graph_id": frame["graph_id"], "v": frame["v"], "fx": f[:, 0], "fy": f[:, 1], "fz": f[:, 2]})
 
-    return v.select("graph_id", "v", "z", "x", "y", "zc").groupBy("graph_id").applyInPandas(run, "graph_id long, v long, fx double, fy double, fz double")
+    return _by_blocks(v, run, "graph_id long, v long, fx double, fy double, fz double")
 
 
 def batched_energy(v: DataFrame, assignment: DataFrame, net: Network) -> DataFrame:
@@ -133,11 +203,8 @@ def batched_energy(v: DataFrame, assignment: DataFrame, net: Network) -> DataFra
 
     def run(frame: pd.DataFrame) -> pd.DataFrame:
         frame = frame.sort_values(["graph_id", "v"])
-        x, z = _arrays(frame)
-        number = np.unique(frame["graph_id"], return_inverse=True)[1]
-        apart = x.copy()
-        apart[:, 0] += number * 10.0  # graphs of a batch do not see each other
-        return frame.assign(e=net.energies(apart, z)).groupby("graph_id", as_index=False).agg(energy=("e", "sum"))
+        names, number = np.unique(frame["graph_id"], return_inverse=True)
+        return pd.DataFrame({"graph_id": names, "energy": np.bincount(number, weights=net.energies(*_arrays(frame), number))})
 
     return v.join(assignment.select("graph_id", "bin_id"), "graph_id").groupBy("bin_id").applyInPandas(run, "graph_id long, energy double")
 

@@ -686,11 +686,14 @@ def padded_batch(spark, d):
     return dense.select("bin_id", "filled", "padded", F.round(F.col("padded") / CAPACITY, 6).alias("fraction"))
 
 
-@query(f"WITH {_edges_sql(None)} SELECT dst AS v, CAST(count(*) AS BIGINT) AS degree, round(sum(r), 6) AS sum_r, round(avg(r), 6) AS mean_r, round(max(r), 6) AS max_r FROM edges GROUP BY dst")
+@query(f"""WITH {_edges_sql(None)}, m AS (SELECT dst, CAST(embedding[4] AS DOUBLE) * (1 - r / 0.25) AS m FROM edges JOIN embeddings ON vec_id = src)
+    SELECT vec_id // 16 AS graph_id, vec_id AS v, CAST(count(m) AS DOUBLE) AS degree, round(coalesce(sum(m), 0), 6) + 0.0 AS total, round(coalesce(avg(m), 0), 6) + 0.0 AS mean, round(coalesce(max(m), 0), 6) + 0.0 AS most, round(coalesce(min(m), 0), 6) + 0.0 AS least FROM embeddings LEFT JOIN m ON dst = vec_id GROUP BY vec_id""")
 def aggregate_neighbors(spark, d):
-    """A general sum, mean or maximum over neighbours."""
-    e = graphs.radius_edges(graphs.vertices(spark, d), 0.25)
-    return e.groupBy(F.col("dst").alias("v")).agg(F.count("*").alias("degree"), F.round(F.sum("r"), 6).alias("sum_r"), F.round(F.avg("r"), 6).alias("mean_r"), F.round(F.max("r"), 6).alias("max_r"))
+    """A message function over the sender's state and the edge, with every operation; lone vertices have zeros."""
+    v = graphs.vertices(spark, d)
+    states = v.select("graph_id", "v", F.get("h", F.lit(0)).alias("s"))
+    got = graphs.aggregate_neighbors(graphs.radius_edges(v, 0.25), states, F.col("s") * (1 - F.col("r") / 0.25), {"degree": "count", "total": "sum", "mean": "mean", "most": "max", "least": "min"})
+    return got.select("graph_id", "v", "degree", *[(F.round(c, 6) + F.lit(0.0)).alias(c) for c in ("total", "mean", "most", "least")])
 
 
 @query(f"WITH {_edges_sql(None)} SELECT CAST(floor(r * 20) AS BIGINT) AS bucket, count(*) AS edges FROM edges GROUP BY 1")
