@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..plans.packing import pack_local
+from ..operators.packing import pack_balanced
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -41,15 +41,12 @@ def stream_enrich(df: DataFrame, static: DataFrame, on: str) -> DataFrame:
 
 
 def stream_pack(df: DataFrame, capacity: int, ranks: int, path: str, checkpoint: str) -> StreamingQuery:
-    """Each micro-batch packed exactly and written with its batch id; written anew if the batch is retried."""
+    """Each micro-batch planned from its histogram, packed exactly by the batch operator and written with its batch id;
+    written anew if the batch is retried. Larger items have bins of their own."""
 
     def pack(batch: DataFrame, number: int) -> None:
-        def one(frame: pd.DataFrame) -> pd.DataFrame:
-            frame = frame.sort_values("id")
-            return frame.assign(bin_id=pack_local(frame["size"].tolist(), capacity, ranks)[0])[["id", "size", "bin_id"]]
-
-        got = batch.withColumn("_one", F.lit(0)).groupBy("_one").applyInPandas(lambda f: one(f), "id long, size long, bin_id long")
-        got.write.mode("overwrite").parquet(f"{path}/batch={number}")
+        got = pack_balanced(batch, capacity, ranks, oversize="isolate").assignment
+        got.select("id", "size", "bin_id").write.mode("overwrite").parquet(f"{path}/batch={number}")
 
     return df.select("id", "size").writeStream.foreachBatch(pack).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 

@@ -147,3 +147,60 @@ def test_experiments_keep_what_is_over_the_capacity(spark, sf, monkeypatch):
     assert workloads.pack_assignment_docs(spark, sf).count() == n
     assert workloads.pack_first_fit(spark, sf).agg(F.sum("load")).first()[0] == tokens
     assert workloads._subset(spark, sf, 1.0).agg(F.sum("size")).first()[0] == workloads.mixed_graphs(spark, sf).agg(F.sum("n_vertices")).first()[0]
+
+
+def test_many_pieces_are_joined_by_blocks_of_places(spark, monkeypatch):
+    from evenbatch.operators import packing
+
+    items = spark.createDataFrame([(i, (i * 37) % 50 + 1) for i in range(400)], "id long, size long")
+    want = sorted(map(tuple, packing.pack_balanced(items, 60, 4).assignment.select("id", "bin_id").collect()))
+    monkeypatch.setattr(packing, "BROADCAST_PIECES", 0)
+    monkeypatch.setattr(packing, "BLOCK", 16)
+    assert sorted(map(tuple, packing.pack_balanced(items, 60, 4).assignment.select("id", "bin_id").collect())) == want
+
+
+def test_groups_are_packed_as_each_alone(spark):
+    from evenbatch.operators import packing
+    from evenbatch.plans.packing import OversizeError, pack_local
+
+    rows = [(g, i, (i * 13 + g) % 20 + 1) for g in range(3) for i in range(50 * (g + 1))] + [(None, 7, 5)]
+    frame = spark.createDataFrame(rows, "g int, id long, size long")
+    got = packing.pack_balanced_by(frame.where("g IS NOT NULL"), ["g"], 30, 2).collect()
+    for g in range(3):
+        own = sorted((r for r in got if r.g == g), key=lambda r: r.id)
+        assert [r.bin_id for r in own] == pack_local([r.size for r in own], 30, 2)[0]
+    with pytest.raises(OversizeError):
+        packing.pack_balanced_by(frame, ["g"], 10, 2)
+
+
+def test_recursive_sql_packs_as_the_reference():
+    import random
+
+    import duckdb
+
+    from evenbatch import packing_sql
+    from evenbatch.plans.packing import pack_fixed_bins, pack_greedy, pack_local
+
+    rng = random.Random(4)
+    for _ in range(25):
+        cap, ranks = rng.choice([10, 50, 400]), rng.choice([1, 2, 3, 8])
+        sizes = [rng.randint(1, cap) if rng.random() < 0.5 else rng.randint(1, 5) for _ in range(rng.randint(1, 60))]
+        flags = {"reactivate": rng.random() < 0.7, "recursive": rng.random() < 0.7}
+        con = duckdb.connect()
+        con.execute("CREATE TABLE items AS SELECT * FROM (VALUES " + ", ".join(f"({i}::BIGINT, {s}::BIGINT)" for i, s in enumerate(sizes)) + ") v(id, size)")
+        ask = lambda cte, name: dict(con.execute(f"WITH RECURSIVE {cte} SELECT id, bin_id FROM {name}").fetchall())
+        got = ask(packing_sql.balanced("items", cap, ranks, isolate=False, **flags), "packed")
+        assert [-1 if got[i] is None else got[i] for i in range(len(sizes))] == pack_local(sizes, cap, ranks, **flags)[0]
+        for rule in ("first", "best"):
+            got = ask(packing_sql.greedy("items", cap, rule, ranks > 2), "dealt")
+            assert [got[i] for i in range(len(sizes))] == pack_greedy(sizes, cap, rule, ranks > 2)
+        got = ask(packing_sql.emptiest("items", 5), "dealt")
+        assert [got[i] for i in range(len(sizes))] == pack_fixed_bins(sizes, 5)
+
+
+def test_graph_size_takes_vertices_edges_or_both(spark):
+    from evenbatch.sources.tables import graph_size
+
+    row = spark.createDataFrame([(5, 9), (3, None)], "n_vertices long, n_edges long")
+    got = row.select(graph_size().alias("a"), graph_size(alpha=0.0, beta=1.0).alias("b"), graph_size(alpha=1.0, beta=0.5).alias("c")).collect()
+    assert [tuple(r) for r in got] == [(5, 9, 10), (3, 0, 3)]

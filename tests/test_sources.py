@@ -47,3 +47,47 @@ def test_every_oracle_has_a_query():
     import __spark_entry__ as e
 
     assert set(e.oracle_sql()) <= set(e.queries()) and len(e.queries()) > 150
+
+
+def test_bucketed_table_and_foreach_sink(spark, tmp_path):
+    from evenbatch.sources import tables
+
+    rows = spark.createDataFrame([(i, i % 3) for i in range(20)], "id long, rank int")
+    spark.sql("DROP TABLE IF EXISTS evenbatch_bucketed")
+    tables.write_bucketed(rows, "evenbatch_bucketed", 4, "rank")
+    assert spark.table("evenbatch_bucketed").count() == 20
+    assert "Buckets" in "".join(r[0] for r in spark.sql("DESCRIBE EXTENDED evenbatch_bucketed").collect())
+    spark.sql("DROP TABLE evenbatch_bucketed")
+    out = str(tmp_path)
+
+    def keep(part):
+        import os
+        import uuid
+
+        with open(os.path.join(out, uuid.uuid4().hex), "w") as f:
+            f.write("".join(f"{r.id}\n" for r in part))
+
+    tables.sink_foreach(rows, keep)
+    assert sorted(int(x) for p in tmp_path.iterdir() for x in p.read_text().split()) == list(range(20))
+
+
+def test_text_and_csv_options(spark, tmp_path):
+    from evenbatch.sources import tables
+
+    (tmp_path / "a.txt").write_text("one\ntwo\n")
+    assert [r[0] for r in tables.read_any(spark, str(tmp_path / "a.txt"), "text").collect()] == ["one", "two"]
+    (tmp_path / "b.csv").write_text("x;y\n1;2\n")
+    got = tables.read_any(spark, str(tmp_path / "b.csv"), "csv", "x long, y long", header="true", sep=";").collect()
+    assert [tuple(r) for r in got] == [(1, 2)]
+
+
+def test_a_vertex_of_an_unknown_species_stays(spark):
+    from evenbatch.operators import graphs, kernels
+
+    v = spark.createDataFrame([(1, 3), (2, None), (3, 99)], "v long, z int")
+    got = {r.v: r.h0 for r in kernels.embed(v, 2).collect()}
+    assert len(got) == 3 and got[2] == got[3] == [0.0, 0.0] and got[1] != [0.0, 0.0]
+    edges = spark.createDataFrame([(0, 1, 2, 1.0)], "graph_id long, dst long, src long, r double")
+    states = spark.createDataFrame([(0, 1, 5.0), (0, 2, 7.0)], "graph_id long, v long, s double")
+    got = {r.v: (r.n, r.most) for r in graphs.aggregate_neighbors(edges, states, edges["r"] * states["s"], {"n": "count", "most": "max"}, empty=None).collect()}
+    assert got == {1: (1.0, 7.0), 2: (0.0, None)}

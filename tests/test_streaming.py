@@ -1,3 +1,5 @@
+import os
+
 import pandas as pd
 
 from evenbatch.plans.packing import pack_greedy, pack_local
@@ -68,3 +70,49 @@ def test_open_bins_are_carried(spark, tmp_path):
             if r.key == key:
                 loads[r.bin_id] = loads.get(r.bin_id, 0) + r.size
         assert max(loads.values()) <= 20 and len(loads) <= max(pack_greedy(part["size"].tolist(), 20, "next")) + 3
+
+
+def late_rows(tmp_path):
+    """Four files, an hour a row; the last brings a row of the first hours, long behind the watermark. Rows are late by
+    the watermark of the batch before theirs, so one file lies between."""
+    hours = [[0, 1, 2], [30, 31, 32], [40], [60, 1, 61]]
+    for i, part in enumerate(hours):
+        ts = pd.to_datetime(["2024-01-01"] * len(part)) + pd.to_timedelta(part, unit="h")
+        pd.DataFrame({"event_id": [10 * i + k for k in range(len(part))], "ts": ts.astype("datetime64[us]"), "user_id": 1, "event_type": "x", "value": 1.0, "props": ""}).to_parquet(tmp_path / f"late-{i}.parquet", index=False)
+        os.utime(tmp_path / f"late-{i}.parquet", (1_700_000_000 + i, 1_700_000_000 + i))  # files come in the order of their times
+    return str(tmp_path)
+
+
+def test_a_late_row_is_left_out_by_the_watermark_and_kept_without_one(spark, tmp_path):
+    path = late_rows(tmp_path)
+    short = streams.with_lateness(streams.stream_events(spark, path), "2 hours")
+    got = run(streams.stream_window_load(short, "12 hours"), "append")
+    day = 12 * 3600 * 1_000_000
+    first = min(r.start for r in got)
+    assert {(r.start - first) // day: r.events for r in got}[0] == 3  # the late row would make four
+    long = streams.with_lateness(streams.stream_events(spark, path), "365 days")
+    assert min((r.start, r.events) for r in run(streams.stream_window_load(long, "12 hours")))[1] == 4
+
+
+def test_output_modes_agree_on_the_last_state(spark, tmp_path):
+    path = late_rows(tmp_path)
+    live = lambda: streams.stream_window_load(streams.with_lateness(streams.stream_events(spark, path), "365 days"), "12 hours")
+    whole = {r.start: r.events for r in run(live(), "complete")}
+    last = {}
+    for r in run(live(), "update"):
+        last[r.start] = max(r.events, last.get(r.start, 0))
+    assert last == whole
+
+
+def test_a_stopped_stream_goes_on_where_it_was(spark, tmp_path):
+    src, out, ck = tmp_path / "src", tmp_path / "out", tmp_path / "ck"
+    src.mkdir()
+    frame = items(src, 3)
+    (src / "items-2.parquet").rename(tmp_path / "held.parquet")
+    live = lambda: spark.readStream.schema("id long, key long, size long").option("maxFilesPerTrigger", 1).parquet(str(src))
+    streams.stream_pack(live(), 20, 2, str(out), str(ck)).awaitTermination()
+    assert spark.read.parquet(str(out)).count() == 40
+    (tmp_path / "held.parquet").rename(src / "items-2.parquet")
+    streams.stream_pack(live(), 20, 2, str(out), str(ck)).awaitTermination()
+    got = spark.read.parquet(str(out)).collect()
+    assert sorted(r.id for r in got) == frame["id"].tolist() and len({r.batch for r in got}) == 3
