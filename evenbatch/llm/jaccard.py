@@ -379,10 +379,19 @@ def link(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
 
 
 def keep_first(docs: DataFrame) -> DataFrame:
-    """The rows of docs, with all their columns, but one document of each component: that with the smallest doc_id.
-    Documents without words or id stay."""
-    gone = materialise(link(docs).where("doc_id <> component_id").select("doc_id").distinct(), "gone")
-    return docs.join(gone, docs["doc_id"] == gone["doc_id"], "left_anti")
+    """The rows of docs, with all their columns, but one document of each component: that with the smallest doc_id. Of
+    rows with words that repeat its id one stays, that with the first text. Documents without words or id stay."""
+    linked = link(docs)
+    gone = materialise(linked.where("doc_id <> component_id").select("doc_id").distinct(), "gone")
+    kept = docs.join(gone, docs["doc_id"] == gone["doc_id"], "left_anti")
+    again = materialise(linked.where("doc_id = component_id AND n_shingles > 0").groupBy("doc_id").count().where("count > 1").select(F.col("doc_id").alias("_again")), "again")
+    if again.isEmpty():
+        return kept
+    worded = F.coalesce(F.col("text").rlike(r"[^\x20\x09-\x0D]"), F.lit(False))
+    more = kept.where(worded).join(again, F.col("doc_id") == F.col("_again"), "left_semi")
+    once = more.groupBy(F.col("doc_id").alias("_key")).agg(F.min_by(F.struct(*[F.col(f"`{c}`") for c in docs.columns]), "text").alias("_row")).select("_row.*")
+    rest = kept.where(worded).join(again, F.col("doc_id") == F.col("_again"), "left_anti")
+    return rest.unionByName(kept.where(~worded)).unionByName(once)
 
 
 ORACLE: str = r"""

@@ -1,4 +1,6 @@
 import hashlib
+import random
+import zlib
 
 import numpy as np
 
@@ -28,6 +30,11 @@ def test_slots_are_gapless(spark):
     assert len(got) == 1000
     for s in range(4):
         assert sorted(r.slot for r in got if r.shard == s) == list(range(sum(r.shard == s for r in got)))
+    texts = {}
+    for k, t, _ in rows:
+        texts.setdefault(k, []).append(zlib.crc32((t or "").encode()))
+    for k, sums in texts.items():
+        assert sorted(r.text_crc32 for r in got if r.doc_id == k) == sorted(sums)
     assert all(r.grown_shard in (r.shard, 4) for r in got) and {r.size for r in got} <= {16, 18, 20, 22, 24}
     assert assign_shards(spark.createDataFrame([], "doc_id long, text string"), 4).count() == 0
 
@@ -54,3 +61,19 @@ def test_probe_and_empty_table(spark):
     empty = spark.createDataFrame([], "conv_id long, turn long, role string, text string, kind string")
     got = chat.digest(chat.parse(chat.render(chat.fold_events(chat.log_of(chat.with_probe(empty)))))).collect()
     assert [(r.conv_id, r.n_turns, r.loss_chars) for r in got] == [(-7, 2, 21)]
+
+
+def test_fold_against_a_plain_loop_over_random_logs(spark):
+    rng = random.Random(9)
+    log = []
+    for conv in range(30):
+        for seq in range(rng.randint(1, 14)):
+            log.append((conv, seq, rng.randint(0, 3), rng.choice(["message", "delta", "delta", "edit", "regenerate", None]), rng.choice(["user", "assistant", None]), rng.choice(["a", "b", "", None, "</s>"])))
+    want = {}
+    for conv, seq, turn, kind, role, text in log:
+        turns = want.setdefault((conv, turn), [None, ""])
+        said = text or ""
+        turns[1] = turns[1] + said if kind == "delta" else "" if kind == "regenerate" else said
+    frame = spark.createDataFrame(log, "conv_id long, seq long, turn long, kind string, role string, text string").repartition(5)
+    got = {(r.conv_id, r.turn): r.text for r in chat.fold_events(frame).collect()}
+    assert got == {k: v[1] for k, v in want.items()}
