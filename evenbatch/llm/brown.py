@@ -32,12 +32,14 @@ CLASSES = 48
 SWEEPS = 4
 #: Rounds in which all known words may change their class, and words of one part of a round.
 ROUNDS = 1
-ROUND_WORDS = 20_000
+ROUND_WORDS = 2_000
 #: Weight of the class frequencies in a transition.
 PRIOR = 20.0
 #: Text bytes that give the count table one part, and words that a task gathers before it sends them.
 PART_BYTES = 24_000_000
 FLUSH_WORDS = 4_000_000
+#: Tasks whose counts are added up before those of all tasks meet.
+FAN = 64
 SHAPES = 6
 
 
@@ -67,6 +69,12 @@ def _summed(keys: np.ndarray, counts: np.ndarray, more: np.ndarray) -> tuple[np.
     return keys[begin], np.add.reduceat(counts, begin) if len(keys) else counts, more[begin]
 
 
+def _added(packed: DataFrame, by: str, add) -> DataFrame:
+    """The counts of each FAN tasks in a row a value of by, so that nobody gets a row from every task."""
+    near = packed.withColumn("fan", (F.spark_partition_id() / FAN).cast("int"))
+    return near.groupBy(by, "fan").applyInPandas(add, packed.schema)
+
+
 def count_words(texts: DataFrame, parts: int) -> DataFrame:
     """(part, words, counts, shapes): fingerprints by part, each once, with its count."""
 
@@ -269,7 +277,7 @@ def _bigrams(texts: DataFrame, shared, size: int, of_seeds: bool) -> np.ndarray:
 
     schema = "slice long, at binary, seen binary"
     out = np.zeros(size * size)
-    for r in texts.mapInArrow(lean(run), schema).groupBy("slice").applyInPandas(add, schema).toLocalIterator():
+    for r in _added(texts.mapInArrow(lean(run), schema), "slice", add).groupBy("slice").applyInPandas(add, schema).toLocalIterator():
         out[np.frombuffer(r["at"], dtype=np.int64)] = np.frombuffer(r["seen"], dtype=np.int64)
     return out.reshape(size, size)
 
@@ -306,17 +314,25 @@ def _exchanged(texts: DataFrame, model: Model, table: np.ndarray) -> np.ndarray:
             keys, seen = summed()
             yield _packed(keys // (width * ROUND_WORDS), [keys, seen], ["part", "keys", "seen"])
 
+    def total(frame: pd.DataFrame) -> tuple[np.ndarray, np.ndarray]:
+        keys, seen = _joined(frame, "keys", np.int64), _joined(frame, "seen", np.int64)
+        return _summed(keys, seen, np.zeros(len(keys), dtype=np.uint8))[:2]
+
+    def add(frame: pd.DataFrame) -> pd.DataFrame:
+        keys, seen = total(frame)
+        return pd.DataFrame({"part": [frame["part"].iloc[0]], "keys": [keys.tobytes()], "seen": [seen.tobytes()]})
+
     def choose(frame: pd.DataFrame) -> pd.DataFrame:
         m, transitions = shared.value
-        keys, seen = _joined(frame, "keys", np.int64), _joined(frame, "seen", np.int64)
-        keys, seen, _ = _summed(keys, seen, np.zeros(len(keys), dtype=np.uint8))
+        keys, seen = total(frame)
         first = int(frame["part"].iloc[0]) * ROUND_WORDS
         word, rest = keys // width - first, keys % width
         kinds = better_classes(word, rest // m.classes, rest % m.classes, seen, m.kind[first : first + ROUND_WORDS], transitions, m.free)
         return pd.DataFrame({"part": [first // ROUND_WORDS], "kinds": [kinds.astype(np.int32).tobytes()]})
 
     out = model.kind.copy()
-    for r in texts.mapInArrow(lean(run), "part long, keys binary, seen binary").groupBy("part").applyInPandas(choose, "part long, kinds binary").toLocalIterator():
+    counted = _added(texts.mapInArrow(lean(run), "part long, keys binary, seen binary"), "part", add)
+    for r in counted.groupBy("part").applyInPandas(choose, "part long, kinds binary").toLocalIterator():
         kinds = np.frombuffer(r["kinds"], dtype=np.int32)
         out[r["part"] * ROUND_WORDS : r["part"] * ROUND_WORDS + len(kinds)] = kinds
     shared.unpersist()
