@@ -50,7 +50,7 @@ def grams_of(word: str) -> Iterator[str]:
 
 
 class Model:
-    """Log frequencies: of words, and of n-grams by length, each a vector over the languages."""
+    """Log frequencies: of words, and of n-grams by length, each a row over the languages."""
 
     def __init__(self, rows: list[tuple[str, int, str, int]]):
         """rows: (language, n, text, count); n is 0 for words."""
@@ -59,53 +59,75 @@ class Model:
         counts: dict[int, dict[str, np.ndarray]] = defaultdict(lambda: defaultdict(lambda: np.zeros(len(at))))
         for lang, n, text, c in rows:
             counts[n][text][at[lang]] += c
-        self.words: dict[str, np.ndarray] = {}
-        self.grams: dict[str, np.ndarray] = {}
+        self.words: dict[str, int] = {}
+        self.grams: dict[str, int] = {}
+        kept: dict[bool, list[np.ndarray]] = {True: [np.zeros((0, len(at)))], False: [np.zeros((0, len(at)))]}
         for n, seen in counts.items():
             total = sum(seen.values()) + 0.5 * (len(seen) + 1)
-            (self.grams if n else self.words).update((t, np.log((v + 0.5) / total)) for t, v in seen.items())
-        self.nothing = np.zeros(len(at))
+            names = self.grams if n else self.words
+            names.update(zip(seen, range(len(names), len(names) + len(seen))))
+            kept[n > 0].append(np.log((np.array(list(seen.values())) + 0.5) / total) + (BACKOFF * (LONGEST - n) if n else 0.0))
+        self.word_rows, self.gram_rows = np.concatenate(kept[False]), np.concatenate(kept[True])
+        self._forget()
+
+    def _forget(self) -> None:
+        """Empty the memory of words; row 0 is that of words without a letter."""
         self.memory: dict[str, int] = {}
-        self.table = np.zeros((1024, len(at)))
+        self.table, self.used = np.zeros((1024, len(self.languages))), 1
 
-    def backoff(self, word: str) -> np.ndarray:
-        """Mean over the word's places of the longest known n-gram there, weighed as two words at most."""
-        marked = f"<{word}>"
-        total, places = self.nothing, 0
+    def places(self, word: str) -> list[int]:
+        """The row of the longest known n-gram that ends at each place of the word, where there is one."""
+        marked, find, out = f"<{word}>", self.grams.get, []
         for end in range(2, len(marked) + 1):
-            for n in range(min(LONGEST, end), 0, -1):
-                found = self.grams.get(marked[end - n : end])
+            for start in range(end - LONGEST if end > LONGEST else 0, end):
+                found = find(marked[start:end])
                 if found is not None:
-                    total = total + found + BACKOFF * (LONGEST - n)
+                    out.append(found)
                     break
-            places += 1
-        return total / max(1, places) * min(2.0, places / 3)
-
-    def row(self, word: str) -> int:
-        at = self.memory.get(word)
-        if at is None:
-            if len(self.memory) > MEMORY_WORDS:
-                self.memory.clear()
-            at = self.memory[word] = len(self.memory)
-            if at >= len(self.table):
-                self.table = np.concatenate((self.table, np.zeros_like(self.table)))
-            known = self.words.get(word)
-            self.table[at] = known if known is not None else self.backoff(word)
-        return at
+        return out
+
+    def backoff(self, words: list[str]) -> np.ndarray:
+        """For each word the mean over its places of the longest known n-gram there, weighed as two words at most."""
+        found = [self.places(w) for w in words]
+        ends = np.cumsum([0, *map(len, found)])
+        lens = np.array([len(w) + 1 for w in words])
+        sums = np.zeros((len(words), len(self.languages)))
+        some = ends[1:] > ends[:-1]
+        if some.any():
+            sums[some] = np.add.reduceat(self.gram_rows[[i for f in found for i in f]], ends[:-1][some])
+        return sums / lens[:, None] * np.minimum(2.0, lens / 3)[:, None]
+
+    def remember(self, words: list[str]) -> None:
+        """Give each of these words that has none yet a row of the table."""
+        new = [w for w in dict.fromkeys(words) if w not in self.memory]
+        lettered = [w for w in new if w.isalpha() or any(map(str.isalpha, w))]
+        self.memory.update(dict.fromkeys(new, 0))
+        self.memory.update(zip(lettered, range(self.used, self.used + len(lettered))))
+        if self.used + len(lettered) > len(self.table):
+            self.table = np.concatenate((self.table, np.zeros((self.used + len(lettered), len(self.languages)))))
+        known = [w for w in lettered if w in self.words]
+        self.table[[self.memory[w] for w in known]] = self.word_rows[[self.words[w] for w in known]]
+        other = [w for w in lettered if w not in self.words]
+        for a in range(0, len(other), 5_000):
+            part = other[a : a + 5_000]
+            self.table[[self.memory[w] for w in part]] = self.backoff(part)
+        self.used += len(lettered)
 
     def predict(self, text: str | None) -> tuple[str, float]:
-        words = [w for w in words_of(text) if w.isalpha() or any(map(str.isalpha, w))] if text else []
-        if not words or not self.languages:
-            return UNKNOWN, 0.0
-        score = self.nothing.copy()
+        words = words_of(text) if text and self.languages else []
+        score, lettered = np.zeros(len(self.languages)), False
         for a in range(0, len(words), 50_000):
             part = words[a : a + 50_000]
             rows = list(map(self.memory.get, part))
             if None in rows:
                 if len(self.memory) + len(part) > MEMORY_WORDS:
-                    self.memory.clear()
-                rows = list(map(self.row, part))
-            score += self.table[rows].sum(0)
+                    self._forget()
+                self.remember(part)
+                rows = list(map(self.memory.get, part))
+            lettered = lettered or any(rows)
+            score += self.table[np.fromiter(rows, np.intp, len(rows))].sum(0)
+        if not lettered:
+            return UNKNOWN, 0.0
         best = int(score.argmax())
         return self.languages[best], float(1 / np.exp(np.minimum(score - score[best], 0)).sum())
 

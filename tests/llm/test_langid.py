@@ -87,3 +87,25 @@ def test_scores_against_plain_dictionaries(spark):
         best = max(range(3), key=lambda i: want[i])
         said, score = model.predict(text)
         assert said == langs[best] and score == pytest.approx(1 / sum(math.exp(x - want[best]) for x in want))
+
+
+def test_unknown_words_are_scored_together(monkeypatch):
+    """Many new words cost a few array operations, and give what each gives alone, also when the memory is emptied."""
+    grams = ("a", "b", "ab", "<a", "b>", "abc", "bcab", "²", "<", ">")
+    model = langid.Model([(lang, len(g) if g != "the" else 0, g, c) for lang, more in (("en", 3), ("fr", 1)) for c, g in enumerate(("the", *grams), more)])
+    words = ["".join("abcx²"[(i // 5**k) % 5] for k in range(1 + i % 6)) for i in range(2_000)] + ["the", "²²"]
+    alone = []
+    for w in words:
+        model._forget()
+        model.remember([w])
+        alone.append(model.table[model.memory[w]])
+    model._forget()
+    model.remember(words)
+    assert all((model.table[model.memory[w]] == x).all() for w, x in zip(words, alone)) and model.memory["²²"] == 0
+    calls = []
+    monkeypatch.setattr(langid, "MEMORY_WORDS", 700)
+    monkeypatch.setattr(langid.Model, "backoff", lambda self, part, real=langid.Model.backoff: calls.append(len(part)) or real(self, part))
+    model._forget()
+    got = [model.predict(" ".join(words[a : a + 500])) for a in range(0, len(words), 500)]
+    assert len(calls) == 4 and len(model.memory) <= 1_200 and all(g[0] in ("en", "fr") for g in got)
+    assert model.predict("²² ²") == ("und", 0.0)
