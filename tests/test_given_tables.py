@@ -10,6 +10,7 @@ import __spark_entry__ as entry
 
 READS = (
     "cg_admissible",
+    "cg_density",
 )
 
 
