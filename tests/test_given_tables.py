@@ -11,6 +11,7 @@ import __spark_entry__ as entry
 READS = (
     "cg_admissible",
     "cg_density",
+    "cg_table_complex",
 )
 
 
