@@ -12,6 +12,7 @@ READS = (
     "cg_admissible",
     "cg_density",
     "cg_table_complex",
+    "cg_table_real",
 )
 
 
