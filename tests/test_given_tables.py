@@ -13,6 +13,7 @@ READS = (
     "cg_density",
     "cg_table_complex",
     "cg_table_real",
+    "cross_config_grid",
 )
 
 
