@@ -14,6 +14,7 @@ READS = (
     "cg_table_complex",
     "cg_table_real",
     "cross_config_grid",
+    "generalized_cg",
 )
 
 
