@@ -15,6 +15,7 @@ READS = (
     "cg_table_real",
     "cross_config_grid",
     "generalized_cg",
+    "saturation_curve",
 )
 
 
