@@ -16,6 +16,7 @@ READS = (
     "cross_config_grid",
     "generalized_cg",
     "saturation_curve",
+    "knee_fit",
 )
 
 
