@@ -17,6 +17,7 @@ READS = (
     "generalized_cg",
     "saturation_curve",
     "knee_fit",
+    "udtf_cg_terms",
 )
 
 
