@@ -55,3 +55,11 @@ def same_as_sql(spark, name, folder):
 def test_reads_a_given_table(spark, sf, odd, name):
     for folder in (sf, odd):
         assert "Scan parquet" in same_as_sql(spark, name, folder)._jdf.queryExecution().executedPlan().toString()
+
+
+@pytest.mark.parametrize("name", [
+    "speedup_quoted",
+])
+def test_quoted_figures_lie_beside_those_of_the_tables(spark, sf, name):
+    got = {r.run: r.modelled for r in same_as_sql(spark, name, sf).collect()}
+    assert all(x and x > 0 for x in got.values())
