@@ -59,6 +59,7 @@ def test_reads_a_given_table(spark, sf, odd, name):
 
 @pytest.mark.parametrize("name", [
     "speedup_quoted",
+    "strong_efficiency_quoted",
 ])
 def test_quoted_figures_lie_beside_those_of_the_tables(spark, sf, name):
     got = {r.run: r.modelled for r in same_as_sql(spark, name, sf).collect()}
