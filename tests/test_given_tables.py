@@ -64,3 +64,9 @@ def test_reads_a_given_table(spark, sf, odd, name):
 def test_quoted_figures_lie_beside_those_of_the_tables(spark, sf, name):
     got = {r.run: r.modelled for r in same_as_sql(spark, name, sf).collect()}
     assert all(x and x > 0 for x in got.values())
+
+
+def test_selection_rules_see_entries_not_items(spark, sf):
+    plan = entry.queries()["cg_admissible"](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    above, _, below = plan.partition("Aggregate")
+    assert "abs(" in above and "abs(" not in below
